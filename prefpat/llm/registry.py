@@ -1,8 +1,9 @@
 """The queries of this subpackage by name, and the SQL of those that SQL can express."""
 
-from prefpat.llm import sharding
+from prefpat.llm import sharding, simhash
 
 QUERIES = {
+    "op3_simhash": simhash.op3_simhash,
     "op8_sharding": sharding.op8_sharding,
 }
 
