@@ -1,14 +1,16 @@
 """The queries of this subpackage by name, and the SQL of those that SQL can express."""
 
-from prefpat.llm import quality, sharding, simhash
+from prefpat.llm import linededup, quality, sharding, simhash
 
 QUERIES = {
     "op3_simhash": simhash.op3_simhash,
     "op7_quality": quality.op7_quality,
     "op8_sharding": sharding.op8_sharding,
+    "op10_line_dedup": linededup.op10_line_dedup,
 }
 
 ORACLES = {
     "op7_quality": quality.OP7_SQL,
     "op8_sharding": sharding.OP8_SQL,
+    "op10_line_dedup": linededup.OP10_SQL,
 }
