@@ -24,10 +24,10 @@ carried along as they are, whatever their names.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from prefpat.llm.common import cut, let, read_table, words_of
+from prefpat.llm.common import WORD_CHAR_RE, cut, let, read_table
 
 #: One boundary in this many places, on average.
 DIVISOR = 2
@@ -42,7 +42,7 @@ def spans_of(text: Column) -> Column:
     """Array of ``(start, end, hash)``: the spans of a text that can be removed."""
     lines = F.split(text, "\n")
     digit = lambda x: F.conv(F.substring(F.md5(x), 1, 6), 16, 10).cast("int")
-    facts = F.transform(lines, lambda x: F.struct(digit(x).alias("d"), F.size(words_of(x)).alias("w"), F.xxhash64(x).alias("h")))
+    facts = F.transform(lines, lambda x: F.struct(digit(x).alias("d"), F.regexp_count(x, F.lit(WORD_CHAR_RE + "+")).alias("w"), F.xxhash64(x).alias("h")))
 
     def cuts(f: Column) -> Column:
         at = lambda i, name: F.coalesce(F.get(f, i)[name], F.lit(0))
@@ -95,14 +95,22 @@ def same_text(left: DataFrame, right: DataFrame, how: str) -> DataFrame:
 
 
 def removable_lines(df: DataFrame, key: str, text: str) -> DataFrame:
-    """``(key, text_hash, gone)``: line numbers to remove, after byte comparison."""
-    found = cut(repeated_spans(df, key, text))
+    """``(key, text_hash, gone)``: line numbers to remove, after byte comparison.
+
+    A span inside another one that goes from the same text adds nothing, so only
+    the outer ones and the occurrences that they repeat are fetched.
+    """
+    found = cut(repeated_spans(df, key, text).dropDuplicates(["key", "text_hash", "start", "end"]))
+    before = Window.partitionBy("key", "text_hash").orderBy("start", F.desc("end")).rowsBetween(Window.unboundedPreceding, -1)
+    outer = found.where("not first").withColumn("reach", F.max("end").over(before)).where("reach is null or end > reach").drop("reach")
+    outer = cut(outer)
+    needed = outer.unionByName(found.where("first").join(outer.select("hash").distinct(), "hash", "left_semi"))
+    of_text = needed.groupBy("key", "text_hash").agg(F.collect_list(F.struct("start", "end", "hash")).alias("spans"))
     texts = df.select(F.col(f"`{key}`").alias("key"), text_key(F.col(f"`{text}`")).alias("text_hash"), F.col(f"`{text}`").alias("text"))
-    of_text = found.dropDuplicates(["key", "text_hash", "start", "end"]).groupBy("key", "text_hash").agg(F.collect_list(F.struct("start", "end", "hash")).alias("spans"))
     lines = same_text(texts, of_text, "inner").select(F.split("text", "\n").alias("lines"), F.explode("spans").alias("s"))
     bodies = lines.select("s.hash", F.array_join(F.slice("lines", F.col("s.start") + 1, F.col("s.end") - F.col("s.start")), "\n").alias("body"))
     equal = bodies.groupBy("hash").agg(F.min("body").alias("least"), F.max("body").alias("most")).where("least = most").select("hash")
-    gone = found.where("not first").join(cut(equal), "hash").select("key", "text_hash", F.explode(F.sequence(F.col("start"), F.col("end") - 1)).alias("line"))
+    gone = outer.join(cut(equal), "hash").select("key", "text_hash", F.explode(F.sequence(F.col("start"), F.col("end") - 1)).alias("line"))
     return gone.groupBy("key", "text_hash").agg(F.collect_set("line").alias("gone"))
 
 
