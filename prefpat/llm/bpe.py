@@ -26,6 +26,7 @@ import re
 import sys
 import unicodedata
 from array import array
+from collections.abc import Iterator
 
 import pandas as pd
 import public_tokenizers
@@ -37,12 +38,15 @@ from prefpat.llm.common import read_table
 
 DEFAULT_VOCABULARY = public_tokenizers.path("word_bpe_49k.json")
 #: Encoded words kept in each of two generations.
-KEPT_WORDS = 1 << 18
+KEPT_WORDS = 1 << 19
 #: What counts as a word, by Unicode classes; and the same for
-#: texts without the characters on which the two engines' classes differ.
+#: texts without the characters on which the two engines' classes differ, and for
+#: lower-cased texts of Latin-1 alone.
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
 PLAIN_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\w\s]|_)+")
+LATIN_WORDS = re.compile(r"[a-zªµºß-öø-ÿ]+|'(?:[stmd]|re|ve|ll)|[0-9]|[^\sa-zªµºß-öø-ÿ0-9]+")
 SPACES_OF_ONE = "\x1c\x1d\x1e\x1f"
+BEYOND_LATIN = re.compile(f"[{SPACES_OF_ONE}²³¹¼½¾Ā-\U0010ffff]")
 
 
 @functools.cache
@@ -60,6 +64,8 @@ def words_in(text: str) -> list[str]:
         text = unicodedata.normalize("NFC", text)
         text = text.replace("Σ", "σ")  # lower() alone would look at a sigma's place in its word
     text = text.lower()
+    if not BEYOND_LATIN.search(text):
+        return LATIN_WORDS.findall(text)
     return (WORDS if odd_characters().search(text) else PLAIN_WORDS).findall(text)
 
 
@@ -142,20 +148,51 @@ class Vocabulary:
         """A text's ids as unsigned 32-bit integers, in this machine's order."""
         if not text:
             return b""
-        known = self.words.__getitem__
+        known = self.known
         if "<" not in text or not (marks := list(self.special_pattern.finditer(text))):
-            return b"".join(map(known, words_in(text)))
+            return b"".join(known(words_in(text)))
         parts, at = [], 0
         for mark in marks:
-            parts += map(known, words_in(text[at : mark.start()]))
+            parts += known(words_in(text[at : mark.start()]))
             parts.append(array("I", [self.special[mark[0]]]).tobytes())
             at = mark.end()
-        return b"".join([*parts, *map(known, words_in(text[at:]))])
+        return b"".join([*parts, *known(words_in(text[at:]))])
+
+    def known(self, words: list[str]) -> Iterator[bytes]:
+        return map(self.words.__getitem__, words)
 
     def decode(self, ids: bytes) -> str:
         return " ".join(map(self.strings.__getitem__, array("I", ids)))
 
 
+class LibraryVocabulary(Vocabulary):
+    """The same ids, with new words encoded by the tokenizer's own library, all
+    those of a text at a time; for operators that need ids and not this encoder."""
+
+    def __init__(self, path: str):
+        super().__init__(path)
+        from tokenizers import Tokenizer
+
+        self.library = Tokenizer.from_file(path)
+        self.ends = [s.endswith(self.word_end) for s in self.strings]
+
+    def known(self, words: list[str]) -> Iterator[bytes]:
+        kept, older = self.words, self.words.older
+        if new := [w for w in set(words) if w not in kept and w not in older]:
+            found, own = iter(new), array("I")
+            for number in self.library.encode(" ".join(new), add_special_tokens=False).ids:
+                own.append(number)
+                if self.ends[number]:
+                    kept[next(found)] = own.tobytes()
+                    own = array("I")
+        return super().known(words)
+
+
+@functools.cache
+def library_vocabulary(path: str) -> LibraryVocabulary:
+    return LibraryVocabulary(path)
+
+
 @functools.cache
 def vocabulary(path: str) -> Vocabulary:
     """One per Python worker, kept from task to task."""
