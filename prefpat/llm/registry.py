@@ -1,12 +1,13 @@
 """The queries of this subpackage by name, and the SQL of those that SQL can express."""
 
-from prefpat.llm import bpe, linededup, quality, sharding, simhash
+from prefpat.llm import bpe, linededup, packing, quality, sharding, simhash
 
 QUERIES = {
     "op1_bpe": bpe.op1_bpe,
     "op3_simhash": simhash.op3_simhash,
     "op7_quality": quality.op7_quality,
     "op8_sharding": sharding.op8_sharding,
+    "op9_packing": packing.op9_packing,
     "op10_line_dedup": linededup.op10_line_dedup,
 }
 
