@@ -1,10 +1,11 @@
 """The queries of this subpackage by name, and the SQL of those that SQL can express."""
 
-from prefpat.llm import bpe, langid, linededup, packing, quality, sharding, simhash
+from prefpat.llm import bpe, langid, linededup, ngram, packing, quality, sharding, simhash
 
 QUERIES = {
     "op1_bpe": bpe.op1_bpe,
     "op3_simhash": simhash.op3_simhash,
+    "op4_ngram": ngram.op4_ngram,
     "op5_langid": langid.op5_langid,
     "op7_quality": quality.op7_quality,
     "op8_sharding": sharding.op8_sharding,
@@ -13,6 +14,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op4_ngram": ngram.OP4_SQL,
     "op7_quality": quality.OP7_SQL,
     "op8_sharding": sharding.OP8_SQL,
     "op10_line_dedup": linededup.OP10_SQL,
