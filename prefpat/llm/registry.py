@@ -1,9 +1,10 @@
 """The queries of this subpackage by name, and the SQL of those that SQL can express."""
 
-from prefpat.llm import bpe, langid, linededup, ngram, packing, quality, sharding, simhash
+from prefpat.llm import bpe, langid, linededup, ngram, packing, quality, sharding, simhash, urlfilter
 
 QUERIES = {
     "op1_bpe": bpe.op1_bpe,
+    "op2_urlfilter": urlfilter.op2_urlfilter,
     "op3_simhash": simhash.op3_simhash,
     "op4_ngram": ngram.op4_ngram,
     "op5_langid": langid.op5_langid,
@@ -14,6 +15,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op2_urlfilter": urlfilter.OP2_SQL,
     "op4_ngram": ngram.OP4_SQL,
     "op7_quality": quality.OP7_SQL,
     "op8_sharding": sharding.OP8_SQL,
