@@ -5,10 +5,10 @@ n-gram of a text joins them by its hash; what a text says itself is subtracted,
 so a text is scored by the rest of the corpus and backing off means something.
 
 An exploded row per n-gram would cost many times the text. So texts are gathered
-in blocks of about ``BLOCK_WORDS`` words; a block sends each distinct n-gram hash
+in blocks of about ``BLOCK_BYTES``; a block sends each distinct n-gram hash
 once, with its count, in one sorted array per hash partition; a partition adds up
 the counts of all blocks, and returns to every block what others counted, in the
-block's order. With that the block, which was kept compressed, scores its texts
+block's order. With that the block, which travels compressed, scores its texts
 one by one, and the sums of the positions' logarithms are the result. What is
 sent grows with the distinct n-grams of the blocks, a partition holds a fixed
 share of the hashes, and an n-gram that is everywhere costs one entry a block.
@@ -16,8 +16,13 @@ share of the hashes, and an n-gram that is everywhere costs one entry a block.
 Score of a word after two others: the relative frequency of the trigram if it
 occurs elsewhere, else ``ALPHA`` times that of the bigram, else ``ALPHA`` squared
 times that of the word, else ``ALPHA`` cubed by the number of words; shorter
-contexts at a text's start have fewer steps. N-grams are told apart by 64-bit
-hashes.
+contexts at a text's start have fewer steps. N-grams are told apart by their
+order and 54 bits of hash: of ten trillion n-grams one in two thousand would
+share its hash with another.
+
+Blocks are cut twice from the same rows, once to count and once to score, so the
+input must give its partitions the same rows each time, as a scan of files does;
+otherwise the number of counts that come back differs and the job fails.
 
 Defined cases: a null or blank text has no words and score 0; a null key is
 carried along; repeated rows are texts of their own, and count for each other;
@@ -37,12 +42,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from prefpat.llm.common import cut, read_table, shuffle_parts
+from prefpat.llm.common import read_table, shuffle_parts
 
 ALPHA = 0.4
 ORDERS = 3
-BLOCK_WORDS = 1 << 20
+BLOCK_BYTES = 6 << 20
 BLOCK_TEXTS = 1 << 16
+#: Bits of an n-gram's number: hash, then order.
+HASH_BITS = 56
 KEPT_WORDS = 1 << 18
 #: Fixed odd factors that mix word hashes into n-gram hashes.
 FACTORS = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
@@ -64,29 +71,32 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
+def numbered(hashes: np.ndarray, order: int) -> np.ndarray:
+    return (hashes >> np.uint64(64 - HASH_BITS)) & ~np.uint64(3) | np.uint64(order)
+
+
 def words_of_text(text: bytes | None) -> list[bytes]:
     return (text or b"").lower().split()
 
 
-def hashed_texts(texts: list[bytes | None]) -> tuple[list[np.ndarray], np.ndarray]:
-    """For each order the n-gram hashes at every position (0 where there is none),
-    and the text number of every position."""
+def hashed_texts(texts: list[bytes | None]) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    """For each order the n-gram numbers at every position (0 where there is none),
+    the text of every position and its place in the text."""
     parts, lengths = [], []
     for text in texts:
         words = words_of_text(text)
         lengths.append(len(words))
         parts.append(np.fromiter(map(WORD_HASHES.__getitem__, words), dtype=np.uint64, count=len(words)))
-    words = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
+    words = np.concatenate(parts) * FACTORS[0] if parts else np.zeros(0, np.uint64)
     owner = np.repeat(np.arange(len(texts)), lengths)
     at = np.arange(len(words)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
-    grams, so_far = [mixed(words * FACTORS[0]) | np.uint64(1)], words * FACTORS[0]
+    gram = mixed(words)
+    grams = [numbered(gram, 1)]
     for n in range(1, ORDERS):
-        # h(w1..wn) from h(w1..wn-1) one position earlier and the last word
-        earlier = np.concatenate([np.zeros(1, np.uint64), grams[-1][:-1]]) if len(words) else words
-        joined = mixed(earlier * FACTORS[2] + so_far + np.uint64(n)) | np.uint64(1)
-        joined[at < n] = 0
-        grams.append(joined)
-    return grams, owner
+        # the hash of w1..wn from that of w1..wn-1, one position earlier, and the last word
+        gram = mixed(np.roll(gram, 1) * FACTORS[2] + words + np.uint64(n))
+        grams.append(np.where(at < n, np.uint64(0), numbered(gram, n + 1)))
+    return grams, owner, at
 
 
 def squeeze(values: np.ndarray) -> bytes:
@@ -108,40 +118,45 @@ def unsqueeze_sorted(data: bytes) -> np.ndarray:
     return np.cumsum(unsqueeze(data), dtype=np.uint64)
 
 
+def runs(ordered: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First places and lengths of runs of equal values."""
+    first = np.flatnonzero(np.r_[True, ordered[1:] != ordered[:-1]]) if len(ordered) else np.zeros(0, int)
+    return first, np.diff(np.r_[first, len(ordered)])
+
+
 def counted(grams: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct hashes of all orders, sorted, and their counts."""
+    """Distinct numbers of all orders, sorted, and their counts; 0 is left out."""
     every = np.sort(np.concatenate(grams))
     every = every[np.searchsorted(every, np.uint64(1)) :]
-    first = np.flatnonzero(np.r_[True, every[1:] != every[:-1]]) if len(every) else np.zeros(0, int)
-    return every[first], np.diff(np.r_[first, len(every)]).astype(np.uint64)
+    first, lengths = runs(every)
+    return every[first], lengths.astype(np.uint64)
 
 
-def blocks_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Batches of (key, text) to compressed blocks of texts."""
+def cut_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list, list, pa.DataType]]:
+    """Block number, keys, texts and the keys' type."""
     task, made = TaskContext.get().partitionId(), 0
-    keys, texts, words = [], [], 0
-    key_type = None
-
-    def block() -> pa.RecordBatch:
-        nonlocal made, keys, texts, words
-        inner = pa.RecordBatch.from_arrays([pa.array(keys, key_type), pa.array(texts, pa.large_binary())], names=["key", "text"])
-        sink = pa.BufferOutputStream()
-        with pa.ipc.new_stream(sink, inner.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as writer:
-            writer.write_batch(inner)
-        row = pa.RecordBatch.from_arrays([pa.array([(task << 24) | made], pa.int64()), pa.array([words], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["block", "words", "texts"])
-        made, keys, texts, words = made + 1, [], [], 0
-        return row
-
+    keys, texts, size, key_type = [], [], 0, pa.null()
     for batch in batches:
         key_type = batch.column(0).type
         for key, text in zip(batch.column(0).to_pylist(), batch.column(1)):
             keys.append(key)
             texts.append(text.as_py())
-            words += len(words_of_text(texts[-1]))
-            if words >= BLOCK_WORDS or len(texts) >= BLOCK_TEXTS:
-                yield block()
+            size += len(texts[-1] or b"")
+            if size >= BLOCK_BYTES or len(texts) >= BLOCK_TEXTS:
+                yield (task << 24) | made, keys, texts, key_type
+                keys, texts, size, made = [], [], 0, made + 1
     if texts:
-        yield block()
+        yield (task << 24) | made, keys, texts, key_type
+
+
+def keep_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches of (key, text) to (block, part -1, no total, compressed texts)."""
+    for block, keys, texts, key_type in cut_blocks(batches):
+        inner = pa.RecordBatch.from_arrays([pa.array(keys, key_type), pa.array(texts, pa.large_binary())], names=["key", "text"])
+        sink = pa.BufferOutputStream()
+        with pa.ipc.new_stream(sink, inner.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 3))) as writer:
+            writer.write_batch(inner)
+        yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([-1], pa.int32()), pa.array([0], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["block", "part", "words", "data"])
 
 
 def opened(texts: bytes) -> pa.RecordBatch:
@@ -149,127 +164,124 @@ def opened(texts: bytes) -> pa.RecordBatch:
 
 
 def send_counts(partitions: int):
-    """Blocks to (partition, block, hashes, counts), a row for each hash partition."""
-    edges = np.array([(i << 64) // partitions for i in range(1, partitions)], dtype=np.uint64)
+    """Batches of (key, text) to (part, block, numbers, counts): a row for every
+    block and hash partition, empty ones included."""
+    edges = np.array([(i << HASH_BITS) // partitions for i in range(1, partitions)], dtype=np.uint64)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block, texts in zip(batch.column(0).to_pylist(), batch.column(1)):
-                grams, _ = hashed_texts(opened(texts.as_py()).column(1).to_pylist())
-                hashes, counts = counted(grams)
-                cuts = np.r_[0, np.searchsorted(hashes, edges), len(hashes)]
-                spans = [(p, a, b) for p, (a, b) in enumerate(zip(cuts[:-1].tolist(), cuts[1:].tolist())) if b > a]
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([p for p, _, _ in spans], pa.int32()),
-                        pa.array([block] * len(spans), pa.int64()),
-                        pa.array([squeeze_sorted(hashes[a:b]) for _, a, b in spans], pa.binary()),
-                        pa.array([squeeze(counts[a:b]) for _, a, b in spans], pa.binary()),
-                    ],
-                    names=["part", "block", "hashes", "counts"],
-                )
+        for block, _, texts, _ in cut_blocks(batches):
+            numbers, counts = counted(hashed_texts(texts)[0])
+            cuts = np.r_[0, np.searchsorted(numbers, edges), len(numbers)].tolist()
+            spans = list(zip(cuts[:-1], cuts[1:]))
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array(range(partitions), pa.int32()),
+                    pa.array([block] * partitions, pa.int64()),
+                    pa.array([squeeze_sorted(numbers[a:b]) for a, b in spans], pa.binary()),
+                    pa.array([squeeze(counts[a:b]) for a, b in spans], pa.binary()),
+                ],
+                names=["part", "block", "numbers", "counts"],
+            )
 
     return run
 
 
 def add_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by partition to (block, part, others): counts of other blocks."""
+    """Rows sorted by part to (block, part, words, data): the part's words in all,
+    and what other blocks count."""
 
     def finish(part: int, rows: list[tuple]) -> pa.RecordBatch:
-        blocks = [r[0] for r in rows]
-        hashes, counts = [unsqueeze_sorted(r[1]) for r in rows], [unsqueeze(r[2]) for r in rows]
-        every = np.concatenate(hashes)
-        order = np.argsort(every, kind="stable")
-        every = every[order]
-        first = np.flatnonzero(np.r_[True, every[1:] != every[:-1]])
-        totals = np.add.reduceat(np.concatenate(counts)[order], first)
-        back = np.empty(len(every), dtype=np.uint64)
-        back[order] = np.repeat(totals, np.diff(np.r_[first, len(every)]))
-        ends = np.cumsum([len(h) for h in hashes])
-        others = [squeeze(back[e - len(h) : e] - c) for e, h, c in zip(ends, hashes, counts)]
-        return pa.RecordBatch.from_arrays([pa.array(blocks, pa.int64()), pa.array([part] * len(rows), pa.int32()), pa.array(others, pa.binary())], names=["block", "part", "others"])
+        numbers, counts = [unsqueeze_sorted(r[1]) for r in rows], [unsqueeze(r[2]) for r in rows]
+        every, own = np.concatenate(numbers), np.concatenate(counts)
+        words = int(own[every & np.uint64(3) == 1].sum())
+        order = np.argsort(every)
+        first, lengths = runs(every[order])
+        totals = np.empty(len(every), dtype=np.uint64)
+        totals[order] = np.repeat(np.add.reduceat(own[order], first), lengths) if len(first) else 0
+        ends = np.cumsum([len(h) for h in numbers])
+        others = [squeeze(totals[e - len(h) : e] - c) for e, h, c in zip(ends, numbers, counts)]
+        return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([part] * len(rows), pa.int32()), pa.array([words] * len(rows), pa.int64()), pa.array(others, pa.binary())], names=["block", "part", "words", "data"])
 
     at, held = None, []
     for batch in batches:
-        for part, block, hashes, counts in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3)):
+        for part, block, numbers, counts in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3)):
             if part != at and held:
                 yield finish(at, held)
                 held = []
             at = part
-            held.append((block, hashes.as_py(), counts.as_py()))
+            held.append((block, numbers.as_py(), counts.as_py()))
     if held:
         yield finish(at, held)
 
 
 def scored(texts: list[bytes | None], others: np.ndarray, total_words: int) -> tuple[np.ndarray, ...]:
     """Words, log score and positions by order used, of every text of a block."""
-    grams, owner = hashed_texts(texts)
-    hashes, counts = counted(grams)
-    overall = counts + others
+    grams, owner, at = hashed_texts(texts)
+    every = np.concatenate(grams)
+    order = np.argsort(every)
+    first, lengths = runs(every[order])
+    if len(first) and every[order[0]] == 0:  # positions without an n-gram of an order
+        others = np.r_[np.uint64(0), others]
+    if len(others) != len(first):
+        raise RuntimeError("a block was cut differently to count and to score: its input is not the same each time")
+    overall = np.empty(len(every), dtype=np.int64)
+    overall[order] = np.repeat(lengths + others.astype(np.int64), lengths)
     sizes = np.bincount(owner, minlength=len(texts)).astype(np.float64)
     left = []  # counts in other texts, by order and position
-    for g in grams:
-        total = np.where(g > 0, overall[np.minimum(np.searchsorted(hashes, g), max(len(hashes) - 1, 0))], 0) if len(g) else g
-        own_key = mixed(g ^ (owner.astype(np.uint64) * FACTORS[2]))
-        order = np.argsort(own_key, kind="stable")
-        ordered = own_key[order]
-        first = np.flatnonzero(np.r_[True, ordered[1:] != ordered[:-1]]) if len(g) else np.zeros(0, int)
-        runs = np.diff(np.r_[first, len(g)])
+    for n, g in enumerate(grams):
+        key = mixed(g ^ (owner.astype(np.uint64) * FACTORS[2]))
+        order = np.argsort(key)
+        _, lengths = runs(key[order])
         own = np.empty(len(g), dtype=np.int64)
-        own[order] = np.repeat(runs, runs)
-        left.append(np.where(g > 0, total.astype(np.int64) - own, 0).astype(np.float64))
+        own[order] = np.repeat(lengths, lengths)
+        left.append(np.where(g > 0, overall[n * len(g) : (n + 1) * len(g)] - own, 0).astype(np.float64))
     earlier = lambda x: np.concatenate([np.zeros(1), x[:-1]]) if len(x) else x
     rest = (total_words - sizes)[owner]
-    at = np.arange(len(owner)) - np.searchsorted(owner, owner)
     score = np.where(rest > 0, np.log(np.maximum(left[0], 1)) - np.log(np.maximum(rest, 1)) + np.where(left[0] > 0, 0.0, np.log(ALPHA)), 0.0)
     used = np.where(left[0] > 0, 1, 0)
     for n in range(1, ORDERS):
         hit = left[n] > 0
-        context = earlier(left[n - 1])
-        better = np.log(np.where(hit, left[n], 1)) - np.log(np.where(hit, np.maximum(context, 1), 1))
+        better = np.log(np.where(hit, left[n], 1)) - np.log(np.where(hit, np.maximum(earlier(left[n - 1]), 1), 1))
         backed = score + np.where((at >= n) & (rest > 0), np.log(ALPHA), 0.0)
         score, used = np.where(hit, better, backed), np.where(hit, n + 1, used)
     sums = np.bincount(owner, weights=score, minlength=len(texts))
     return sizes.astype(np.int64), sums, *(np.bincount(owner[used == n], minlength=len(texts)) for n in range(ORDERS + 1))
 
 
-def score_blocks(total_words: int):
+def score_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows sorted by (block, part), texts first, to scores of texts."""
 
-    def finish(texts: bytes, others: list[np.ndarray]) -> pa.RecordBatch:
+    def finish(texts: bytes, others: list[np.ndarray], total_words: int) -> pa.RecordBatch:
         inner = opened(texts)
-        found = scored(inner.column(1).to_pylist(), np.concatenate(others) if others else np.zeros(0, np.uint64), total_words)
+        found = scored(inner.column(1).to_pylist(), np.concatenate(others), total_words)
         return pa.RecordBatch.from_arrays([inner.column(0), *map(pa.array, found)], names=["key", "n_words", "log_score", *[f"used_{n}" for n in range(ORDERS + 1)]])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        texts, others = None, []
-        for batch in batches:
-            for part, data in zip(batch.column(1).to_pylist(), batch.column(2)):
-                if part < 0:
-                    if texts is not None:
-                        yield finish(texts, others)
-                    texts, others = data.as_py(), []
-                else:
-                    others.append(unsqueeze(data.as_py()))
-        if texts is not None:
-            yield finish(texts, others)
-
-    return run
+    texts, others, total = None, [], 0
+    for batch in batches:
+        for part, words, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(3)):
+            if part < 0:
+                if texts is not None:
+                    yield finish(texts, others, total)
+                texts, others, total = data.as_py(), [], 0
+            else:
+                others.append(unsqueeze(data.as_py()))
+                total += words
+    if texts is not None:
+        yield finish(texts, others, total)
 
 
 def backoff_scores(df: DataFrame, key: str, text: str) -> DataFrame:
     """``(key, n_words, log_score, used_0 .. used_3)``: the natural logarithm of a
     text's score, and how many of its words were scored by which order."""
     source = df.select(F.col(f"`{key}`").alias("key"), F.col(f"`{text}`").cast("binary").alias("text"))
-    blocks = cut(source.mapInArrow(blocks_of, "block long, words long, texts binary"))
-    total = blocks.agg(F.coalesce(F.sum("words"), F.lit(0))).first()[0]
     parts = shuffle_parts(df.sparkSession)
-    sent = blocks.select("block", "texts").mapInArrow(send_counts(4 * parts), "part int, block long, hashes binary, counts binary")
-    added = sent.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(add_counts, "block long, part int, others binary")
-    joined = blocks.select("block", F.lit(-1).alias("part"), F.col("texts").alias("data")).unionByName(added.withColumnRenamed("others", "data"))
+    sent = source.mapInArrow(send_counts(4 * parts), "part int, block long, numbers binary, counts binary")
+    row = "block long, part int, words long, data binary"
+    added = sent.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(add_counts, row)
+    joined = source.mapInArrow(keep_texts, row).unionByName(added)
     key_type = source.schema["key"].dataType.simpleString()
     used = ", ".join(f"used_{n} long" for n in range(ORDERS + 1))
-    return joined.repartition(parts, "block").sortWithinPartitions("block", "part").mapInArrow(score_blocks(total), f"key {key_type}, n_words long, log_score double, {used}")
+    return joined.repartition(parts, "block").sortWithinPartitions("block", "part").mapInArrow(score_blocks, f"key {key_type}, n_words long, log_score double, {used}")
 
 
 def op4_ngram(spark, sf_dir):
