@@ -268,7 +268,7 @@ def simhash_components(df: DataFrame, key: str, text: str, shingle: int = 5, bud
     ``both`` bits of 128 together. By default that is a similarity of 0.84, near
     a Jaccard similarity of 0.8 of the shingles; unrelated texts then never link.
     """
-    source = df.select(F.col(f"`{key}`").alias("key"), fingerprint_column(F.col(f"`{text}`"), shingle, both is not None).alias("f"))
+    source = df.select(F.col(key).alias("key"), fingerprint_column(F.col(text), shingle, both is not None).alias("f"))
     prints = cut(source.select("key", "f.print", "f.guard"))
     groups = cut(prints.groupBy("print").agg(F.min("guard").alias("guard"), F.min("key").alias("least")))
     roots = connected(near_links(groups, budget, both))
@@ -282,3 +282,15 @@ def op3_simhash(spark, sf_dir):
     """Components of all documents: 4-word shingles, at most 4 differing bits."""
     found = simhash_components(read_table(spark, sf_dir, "documents"), "doc_id", "text", shingle=4, budget=4, both=None)
     return found.select(F.col("key").alias("doc_id"), F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), F.col("component").alias("component_id"))
+
+
+
+def keep_representatives(df: DataFrame, key: str, text: str, shingle: int = 5, budget: int = 10, both: int | None = 20) -> DataFrame:
+    """One row of every component, all columns as they were: of the rows with its
+    smallest key the one with the least text hash. Rows without a key come last."""
+    own = F.col(f"`{key}`")
+    rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), F.struct(own.isNull().alias("no_key"), own.alias("key"), F.xxhash64(F.col(f"`{text}`")).alias("text_hash")).alias("id"))
+    found = simhash_components(rows, "id", f"row.`{text}`", shingle, budget, both)
+    stays = found.where(F.col("key") == F.col("component")).select("key.*").distinct()
+    same = rows["id"]["key"].eqNullSafe(stays["key"]) & (rows["id"]["text_hash"] == stays["text_hash"])
+    return rows.join(stays, same, "left_semi").dropDuplicates(["id"]).select("row.*")
