@@ -1,0 +1 @@
+"""Interactive pattern discovery on Spark: mine, sample, ask, learn, repeat."""
