@@ -126,7 +126,7 @@ def oracles() -> dict[str, str]:
         "quality_boxplot": SURPRISE + " SELECT round(min(phi), 6) AS least, round(quantile_cont(phi, 0.25), 6) AS \"lower\", round(quantile_cont(phi, 0.5), 6) AS median, round(quantile_cont(phi, 0.75), 6) AS \"upper\", round(max(phi), 6) AS most FROM quality",
         "feat_ilf": B + " SELECT pattern, i AS feature_id, 1.0::DOUBLE AS value FROM exploded UNION ALL SELECT pattern, CAST((SELECT count(*) FROM dict) AS INT), round(len / (SELECT count(*) FROM dict), 6) FROM patterns UNION ALL SELECT pattern, CAST((SELECT count(*) FROM dict) + 1 AS INT), round(sup / (SELECT n FROM n), 6) FROM patterns",
         "feat_transactions": B + TOP5.format(">= 2", 5) + " SELECT p.pattern, t.tid FROM top5 p JOIN (SELECT tid, list(i) AS l FROM tx GROUP BY tid) t ON list_has_all(t.l, p.items)",
-        "score_fixed_weights": WEIGHTED + " SELECT pattern, round(score, 6) AS score FROM scored",
+        "score_fixed_weights": WEIGHTED + " SELECT pattern, round(score, 9) AS score FROM scored",
         "logistic_quality": WEIGHTED + " SELECT pattern, round(w, 6) AS w FROM weighted",
         "pairs_from_rankings": B + FEEDBACK + " SELECT iter, winner, loser FROM pairs",
         "pair_deltas": B + FEEDBACK + " SELECT iter, winner, loser, feature_id, sum(v)::DOUBLE AS delta FROM (SELECT p.*, e.i AS feature_id, 1 AS v FROM pairs p JOIN exploded e ON e.pattern = winner UNION ALL SELECT p.*, e.i, -1 FROM pairs p JOIN exploded e ON e.pattern = loser) GROUP BY ALL HAVING sum(v) <> 0",

@@ -143,7 +143,7 @@ def feat_transactions(spark, sf):
 
 
 def score_fixed_weights(spark, sf):
-    return weighted(spark, sf)[1].select("pattern", *r6("score"))
+    return weighted(spark, sf)[1].select("pattern", F.round("score", 9).alias("score"))
 
 
 def logistic_quality(spark, sf):
@@ -443,7 +443,7 @@ def pca_map(spark, sf):
 
 
 def stream_user_slots(spark, sf):
-    events = streams.event_stream(spark, f"{sf}/events.parquet")
+    events = streams.event_stream(spark, sf)
     slots = streams.slot_items(events).groupBy("user_id", "item").agg(F.count(F.lit(1)).alias("events"))
     return streams.run_to_end(slots, "stream_user_slots", tempfile.mkdtemp(), "complete")
 

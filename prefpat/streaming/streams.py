@@ -13,11 +13,15 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from prefpat.plans.learn import scd_l1
 
+#: A run over what is there now is stopped after this long.
+RUN_SECONDS = 600
 
-def event_stream(spark: SparkSession, folder: str, files_at_a_time: int = 1) -> DataFrame:
-    """Event files as a stream; ``ts`` becomes a timestamp with zone, which watermarks need."""
-    schema = spark.read.parquet(folder).schema
-    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_at_a_time).parquet(folder)
+
+def event_stream(spark: SparkSession, folder: str, files: str = "events*.parquet", files_at_a_time: int = 1) -> DataFrame:
+    """The event files of a folder as a stream; ``ts`` becomes a timestamp with zone,
+    which watermarks need. A stream reads folders, so files are told apart by name."""
+    schema = spark.read.option("pathGlobFilter", files).parquet(folder).schema
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_at_a_time).option("pathGlobFilter", files).parquet(folder)
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -40,7 +44,9 @@ def session_transactions(events: DataFrame, gap: str = "1 day", late: str = "1 d
 def run_to_end(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
     """All that is there now, into a table in memory."""
     query = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    query.awaitTermination()
+    if not query.awaitTermination(RUN_SECONDS):
+        query.stop()
+        raise TimeoutError(f"{name} did not end in {RUN_SECONDS} seconds")
     return stream.sparkSession.table(name)
 
 
@@ -52,13 +58,11 @@ def learn_from_feedback(rankings: DataFrame, n_items: int, lam: float = 1e-3, up
 
     Input rows are ``(session_id, iter, pos, level, items)``. The state of a session
     holds its difference vectors; rounds that are complete in a batch are learned in
-    order, and each emits the session's next weights. Idle sessions are forgotten.
+    order, and each emits the session's next weights. There is no timeout: with one, a
+    run over what is there now would wait for it and never end.
     """
 
     def step(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            state.remove()
-            return
         held = pickle.loads(state.get[0]) if state.exists else np.zeros((0, n_items))
         rows = pd.concat(list(frames)).sort_values(["iter", "pos"])
         out = []
@@ -72,10 +76,9 @@ def learn_from_feedback(rankings: DataFrame, n_items: int, lam: float = 1e-3, up
             w = scd_l1(held, lam, updates, f"{key[0]}/{i}").weights
             out += [(key[0], int(i), int(f), float(w[f])) for f in np.flatnonzero(w)]
         state.update((pickle.dumps(held),))
-        state.setTimeoutDuration(3_600_000)
         yield pd.DataFrame(out, columns=["session_id", "iter", "feature_id", "w"])
 
-    return rankings.groupBy("session_id").applyInPandasWithState(step, WEIGHTS_SCHEMA, "pairs binary", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return rankings.groupBy("session_id").applyInPandasWithState(step, WEIGHTS_SCHEMA, "pairs binary", "append", GroupStateTimeout.NoTimeout)
 
 
 def loop_on_batches(triggers: DataFrame, loop, ranker, out: str, checkpoint: str):
