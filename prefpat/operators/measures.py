@@ -137,6 +137,11 @@ def item_pca(patterns: DataFrame, n_items: int, k: int = 2, keep: float = 0.01,
     mean, axes = principal_axes(patterns, n_items, k)
     kept = patterns.where(u01(F.lit(seed), F.lit("keep"), F.col("pattern")) <= keep)
     for a in range(k):
-        axis, middle = F.array(*[F.lit(float(x)) for x in axes[a]]), float(mean @ axes[a])
-        kept = kept.withColumn(f"pc{a + 1}", F.aggregate("items", F.lit(0.0), lambda s, i, axis=axis: s + F.get(axis, i)) - middle)
+        kept = kept.withColumn(f"pc{a + 1}", along(axes[a]) - float(mean @ axes[a]))
     return kept
+
+
+def along(axis: np.ndarray) -> Column:
+    """A pattern's coordinate on an axis of the item space."""
+    known = F.array(*[F.lit(float(x)) for x in axis])
+    return F.aggregate("items", F.lit(0.0), lambda s, i: s + F.get(known, i))

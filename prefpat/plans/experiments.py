@@ -100,17 +100,21 @@ def run_session(space: MatrixSpace, row) -> list[tuple]:
     return out
 
 
+def session_kernel(sent):
+    """A grid row to the result rows of its session."""
+
+    def kernel(group: pd.DataFrame) -> pd.DataFrame:
+        row = next(group.itertuples(index=False))
+        return pd.DataFrame([(*row, *f) for f in run_session(sent.value, row)], columns=[c.split()[0] for c in RESULT_SCHEMA.split(", ")])
+
+    return kernel
+
+
 def run_grid(spark: SparkSession, rows: pd.DataFrame, prepared: dict[str, Prepared]) -> DataFrame:
     """A result row for every session and round; sessions run side by side."""
     parts = []
     for (dataset, phi), own in rows.groupby(["dataset", "phi"], sort=True):
-        sent = spark.sparkContext.broadcast(prepared[dataset].space(phi))
-
-        def kernel(group: pd.DataFrame, sent=sent) -> pd.DataFrame:
-            row = next(group.itertuples(index=False))
-            found = run_session(sent.value, row)
-            return pd.DataFrame([(*row, *f) for f in found], columns=[c.split()[0] for c in RESULT_SCHEMA.split(", ")])
-
+        kernel = session_kernel(spark.sparkContext.broadcast(prepared[dataset].space(phi)))
         sessions = spark.createDataFrame(own, GRID_SCHEMA).repartition(min(len(own), 4 * spark.sparkContext.defaultParallelism), "session_id")
         parts.append(sessions.groupBy("session_id").applyInPandas(kernel, RESULT_SCHEMA))
     out = parts[0]
