@@ -24,7 +24,9 @@ class XorDraws:
 
 @F.udtf(returnType="feature_id int, w double")
 class ScdFit:
-    """``scd_fit(TABLE(rows), lam, updates, seed)`` over ``(pair_id, feature_id, delta)``."""
+    """``scd_fit(TABLE(rows) PARTITION BY session_id, lam, updates, seed)`` over rows with
+    ``(pair_id, feature_id, delta)``. There is one fit for each partition, so the rows
+    of a single session need ``WITH SINGLE PARTITION``."""
 
     def __init__(self):
         self.rows, self.settings = [], (1e-3, 1000, "0")
