@@ -11,8 +11,9 @@ process ends.
 2. language ID: documents without a letter, or told less surely than nearly all
    others, go.
 3. line dedup: passages that stand in an earlier document go from the texts.
-4. SimHash near-dedup: of each group of near copies (five-word shingles, similarity
-   of 0.8 or more) the document with the smallest id stays.
+4. SimHash near-dedup: of each group of near copies (five-word shingles, near
+   fingerprints or a Jaccard similarity of 0.8 or more) the document with the
+   smallest id stays.
 5. best-fit packing: what is left, as pieces of sequences of at most 2048 tokens.
 """
 

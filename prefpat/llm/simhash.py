@@ -19,6 +19,9 @@ Components. Large-star and small-star rounds over the forests, each cut by a
 checkpoint, give connected components in a number of rounds that grows with the
 logarithm of a component's size.
 
+Near copies by sets. Representatives are kept over a second kind of link as well:
+a Jaccard similarity of the shingle sets, decided exactly. See ``exact_links``.
+
 Defined cases: a null text has no words; a null key is carried along and gets
 the smallest non-null key of its component (null if there is none); repeated
 rows are rows of the same component; an empty table gives no rows. Only key and
@@ -48,6 +51,19 @@ PAIR_CHUNK = 1 << 20
 LEAF_PAIRS = 64
 #: Rows of whole buckets gathered before a join starts.
 BUCKET_ROWS = 1 << 18
+#: Near copies meet where all least hashes of one band agree: at a similarity of 0.8
+#: all bands miss in 7 pairs of a million.
+BANDS, BAND_ROWS = 30, 5
+#: Differing bits of 128 up to which texts of a bucket are compared further. Pairs of
+#: similarity 0.8 differ in about 19 (24 for the shortest texts), others in 64.
+LOOSE = 44
+#: Odd factors that order hashes anew for every least hash.
+FACTORS = np.random.Generator(np.random.PCG64(SEED)).integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+#: Hashes sketched at a time, and rows gathered before whole groups are compared.
+SKETCH_CHUNK = 1 << 12
+#: Edges that one task solves at once, in about 16 MB.
+SMALL_EDGES = 1 << 20
+GROUP_ROWS = 1 << 14
 
 
 def remix(hashes: np.ndarray) -> np.ndarray:
@@ -242,14 +258,30 @@ def near_links(prints: DataFrame, budget: int, both: int | None = None) -> DataF
     return dealt.mapInArrow(join_buckets(budget, both), "u long, v long")
 
 
-def connected(links: DataFrame) -> DataFrame:
-    """``(node, root)`` for every node of a link, root the smallest node that it reaches."""
+def forest_roots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """All edges (a, b) to (node, root), in one task."""
+    held = [[c.to_numpy() for c in batch.columns] for batch in batches]
+    if not held:
+        return
+    a, b = (np.concatenate(x) for x in zip(*held))
+    nodes, place = np.unique(np.concatenate([a, b]), return_inverse=True)
+    forest = Forest(len(nodes))
+    forest.add(place[: len(a)], place[len(a) :])
+    child = np.flatnonzero(forest.root != np.arange(len(nodes)))
+    yield pa.RecordBatch.from_arrays([pa.array(nodes[child]), pa.array(nodes[forest.root[child]])], names=["node", "root"])
+
+
+def connected(links: DataFrame, small: int = 0) -> DataFrame:
+    """``(node, root)`` for every node of a link, root the smallest node that it reaches.
+    Up to ``small`` edges are solved by one task, more by rounds of joins."""
     edges = cut(links.where("u <> v").select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).distinct())
     seen = None
     while True:
         state = edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("a", "b")), F.sum(F.xxhash64("b", "a").cast("decimal(38,0)"))).first()
         if state == seen or not state[0]:
             return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
+        if seen is None and state[0] <= small:
+            return edges.coalesce(1).mapInArrow(forest_roots, "node long, root long")
         seen = state
         both = edges.union(edges.select(F.col("b"), F.col("a"))).toDF("a", "b")
         least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
@@ -284,13 +316,201 @@ def op3_simhash(spark, sf_dir):
     return found.select(F.col("key").alias("doc_id"), F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), F.col("component").alias("component_id"))
 
 
+# --- near copies by exact similarity of shingle sets ----------------------------
+
+
+def shingle_hashes(text: bytes | None, shingle: int) -> np.ndarray:
+    """The hash of every shingle of a text, in order."""
+    words = (text or b"").lower().split()
+    starts = [0, *accumulate(len(w) + 1 for w in words)]
+    joined = b" ".join(words)
+    spans = list(zip(starts, starts[shingle:])) or [(0, len(joined) + 1)] * bool(words)
+    digest = xxhash.xxh64_intdigest
+    return np.fromiter((digest(joined[a : b - 1], SEED) for a, b in spans), dtype=np.uint64, count=len(spans))
+
+
+def shingle_set(text: bytes | None, shingle: int) -> np.ndarray:
+    """The sorted distinct shingle hashes of a text."""
+    return np.unique(shingle_hashes(text, shingle))
+
+
+def majority(hashes: np.ndarray) -> np.ndarray:
+    """Print and guard over given hashes, as in ``text_fingerprints``."""
+    ones = np.zeros((2, BITS), dtype=np.int64)
+    for i in range(0, len(hashes), HASH_CHUNK):
+        part = hashes[i : i + HASH_CHUNK]
+        for row, own in enumerate((part, remix(part))):
+            ones[row] += np.unpackbits(own.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
+    return np.packbits((2 * ones > len(hashes)).astype(np.uint8), axis=1, bitorder="little").view(np.uint64)[:, 0]
+
+
+def least_hashes(hashes: np.ndarray) -> np.ndarray:
+    """The least value of all hashes under every factor."""
+    least = np.full(len(FACTORS), np.iinfo(np.uint64).max, dtype=np.uint64)
+    for i in range(0, len(hashes), SKETCH_CHUNK):
+        np.minimum(least, (FACTORS[:, None] * hashes[i : i + SKETCH_CHUNK]).min(axis=1), out=least)
+    return least
+
+
+def sketch_column(text: Column, shingle: int) -> Column:
+    """Of a text: a number of its own, print and guard, the same two over the set of
+    its shingles (each counted once), and the bands of least hashes."""
+
+    @F.pandas_udf("id long, print long, guard long, set_print long, set_guard long, bands array<long>")
+    def sketches(texts: pd.Series) -> pd.DataFrame:
+        ids, prints, least = [], [], []
+        for t in texts:
+            hashes = shingle_hashes(t, shingle)
+            own = np.unique(hashes)
+            both = majority(hashes)
+            ids.append(xxhash.xxh64_intdigest(hashes.tobytes(), SEED))
+            prints.append([*both, *(both if len(own) == len(hashes) else majority(own))])
+            least.append(least_hashes(own))
+        mins = np.array(least, dtype=np.uint64).reshape(-1, BANDS, BAND_ROWS)
+        bands = np.broadcast_to(np.arange(BANDS, dtype=np.uint64), mins.shape[:2])
+        for i in range(BAND_ROWS):
+            bands = remix(bands ^ mins[:, :, i])
+        values = np.array(prints, dtype=np.uint64).reshape(-1, 4).view(np.int64)
+        out = pd.DataFrame(values, columns=["print", "guard", "set_print", "set_guard"])
+        out.insert(0, "id", np.array(ids, dtype=np.uint64).view(np.int64))
+        return out.assign(bands=list(bands.view(np.int64)))
+
+    return sketches(text.cast("binary"))
+
+
+def reached(n: int, near) -> np.ndarray:
+    """For each of ``n`` positions the least one that links reach; ``near(one, rest)``
+    tells which of the positions ``rest`` link to ``one``. Each step asks only for
+    those not reached yet, so a close group costs little more than its size."""
+    root, rest = np.arange(n), np.arange(n)
+    while len(rest):
+        seed, rest = int(rest[0]), rest[1:]
+        ahead = [seed]
+        while ahead and len(rest):
+            linked = near(ahead.pop(), rest)
+            new, rest = rest[linked], rest[~linked]
+            root[new] = seed
+            ahead += new.tolist()
+    return root
+
+
+def by_group(batches: Iterator[pa.RecordBatch], names: list[str], groups_to_columns) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by their first column, given on as whole groups (a list of column
+    slices each); every group's result columns make a batch, small ones joined."""
+    held: list[list] = []
+
+    def results(columns: list[list]) -> pa.RecordBatch:
+        first = np.asarray(columns[0])
+        cuts = np.r_[0, np.flatnonzero(first[1:] != first[:-1]) + 1, len(first)]
+        found = [groups_to_columns([c[a:b] for c in columns]) for a, b in zip(cuts[:-1], cuts[1:]) if b - a > 1]
+        arrays = [np.concatenate(x) if found else np.zeros(0, np.int64) for x in (zip(*found) if found else names)]
+        return pa.RecordBatch.from_arrays([pa.array(a.astype(np.int64)) for a in arrays], names=names)
+
+    rows = 0
+    for batch in batches:
+        held.append([c.to_numpy(zero_copy_only=False) for c in batch.columns])
+        rows += batch.num_rows
+        if rows >= GROUP_ROWS and held[0][0][0] != held[-1][0][-1]:
+            columns = [np.concatenate(x) for x in zip(*held)]
+            whole = int(np.searchsorted(columns[0], columns[0][-1]))  # the last group may go on
+            yield results([c[:whole] for c in columns])
+            held, rows = [[c[whole:] for c in columns]], len(columns[0]) - whole
+    if rows:
+        yield results([np.concatenate(x) for x in zip(*held)])
+
+
+def loose_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (bucket, id, set_print, set_guard), sorted by bucket, to links of a forest."""
+
+    def links(group: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        _, ids, prints, guards = group
+        near = lambda one, rest: np.bitwise_count(prints[rest] ^ prints[one]).astype(np.int64) + np.bitwise_count(guards[rest] ^ guards[one]) <= LOOSE
+        prints, guards = prints.view(np.uint64), guards.view(np.uint64)
+        root = reached(len(ids), near)
+        child = np.flatnonzero(root != np.arange(len(ids)))
+        return ids[root[child]], ids[child]
+
+    yield from by_group(batches, ["u", "v"], links)
+
+
+def exact_components(shingle: int, similarity: float):
+    """Rows (group, id, text), sorted by group, to (id, component)."""
+
+    def components(group: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        _, ids, texts = group
+        sets = [shingle_set(t, shingle) for t in texts]
+        sizes = np.array([len(s) for s in sets])
+        begins = np.r_[0, np.cumsum(sizes)]
+        names, place = np.unique(np.concatenate(sets), return_inverse=True)
+        mark = np.zeros(len(names), dtype=bool)
+
+        def near(one: int, rest: np.ndarray) -> np.ndarray:
+            fits = (np.minimum(sizes[rest], sizes[one]) >= similarity * np.maximum(sizes[rest], sizes[one]) - 1e-9)
+            linked = np.zeros(len(rest), dtype=bool)
+            mark[place[begins[one] : begins[one + 1]]] = True
+            shared = np.array([np.count_nonzero(mark[place[begins[i] : begins[i + 1]]]) for i in rest[fits].tolist()], dtype=np.int64)
+            mark[place[begins[one] : begins[one + 1]]] = False
+            linked[fits] = shared >= similarity * (sizes[rest[fits]] + sizes[one] - shared) - 1e-9
+            return linked
+
+        return ids, ids[reached(len(ids), near)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from by_group(batches, ["id", "component"], components)
+
+    return run
+
+
+def exact_links(rows: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """Links ``(u, v)`` that join all texts whose shingle sets have the similarity.
+
+    Texts meet where one band of least hashes agrees and the prints of their sets
+    differ in at most ``LOOSE`` bits; what these loose links reach is compared by
+    the shingle sets themselves.
+    """
+    parts = shuffle_parts(rows.sparkSession)
+    spread = texts.select(F.explode("bands").alias("bucket"), "id", "set_print", "set_guard")
+    loose = connected(spread.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(loose_links, "u long, v long"), SMALL_EDGES)
+    members = loose.select(F.col("root").alias("group"), F.col("node").alias("id")).union(loose.select("root", "root").distinct())
+    wanted = members.join(texts.select("id", "least"), "id")
+    wanted = cut(wanted.select("group", F.col("id").alias("number"), "least", row_hash("least").alias("wanted_hash")))
+    same = (rows["row_hash"] == wanted["wanted_hash"]) & same_row(rows["id"], wanted["least"])
+    # hashed rows are dealt once, for the join and for the repeated rows after it
+    fetched = rows.join(wanted, same).dropDuplicates(["row_hash", "number"]).select("group", F.col("number").alias("id"), "text")
+    exact = fetched.repartition(parts, "group").sortWithinPartitions("group").mapInArrow(exact_components(shingle, similarity), "v long, u long")
+    return exact.where("u <> v").select("u", "v")
+
+
+def row_hash(id_: str) -> Column:
+    return F.xxhash64(f"{id_}.no_key", f"{id_}.key", f"{id_}.text_hash")
+
+
+def same_row(left: Column, right: Column) -> Column:
+    """Beside an equal ``row_hash``; no join key, so that the join deals rows by that hash alone."""
+    return left["text_hash"].bitwiseXOR(right["text_hash"]) == 0
 
-def keep_representatives(df: DataFrame, key: str, text: str, shingle: int = 5, budget: int = 10, both: int | None = 20) -> DataFrame:
-    """One row of every component, all columns as they were: of the rows with its
-    smallest key the one with the least text hash. Rows without a key come last."""
+
+def keep_representatives(df: DataFrame, key: str, text: str, shingle: int = 5, budget: int = 10, both: int | None = 20, similarity: float = 0.8) -> DataFrame:
+    """One row of every group of near copies, all columns as they were: of the rows
+    with its smallest key the one with the least text hash. Rows without a key come last.
+
+    Two texts link if their fingerprints do (see ``simhash_components``) or if their
+    sets of shingles have a Jaccard similarity of at least ``similarity``.
+    """
     own = F.col(f"`{key}`")
     rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), F.struct(own.isNull().alias("no_key"), own.alias("key"), F.xxhash64(F.col(f"`{text}`")).alias("text_hash")).alias("id"))
-    found = simhash_components(rows, "id", f"row.`{text}`", shingle, budget, both)
-    stays = found.where(F.col("key") == F.col("component")).select("key.*").distinct()
-    same = rows["id"]["key"].eqNullSafe(stays["key"]) & (rows["id"]["text_hash"] == stays["text_hash"])
-    return rows.join(stays, same, "left_semi").dropDuplicates(["id"]).select("row.*")
+    rows = rows.withColumn("row_hash", row_hash("id"))
+    body = F.col(f"row.`{text}`")
+    found = rows.select(F.col("id").alias("key"), sketch_column(body, shingle).alias("s")).select("key", "s.*")
+    firsts = [F.first(c).alias(c) for c in ("print", "guard", "set_print", "set_guard", "bands")]
+    texts = cut(found.groupBy("id").agg(F.min("key").alias("least"), *firsts))
+    prints = cut(texts.groupBy("print").agg(F.min("guard").alias("guard"), F.min("id").alias("of")))
+    near = near_links(prints.select("print", "guard"), budget, both)
+    number = lambda name: prints.select(F.col("print").alias(name), F.col("of").alias(f"{name}_of"))
+    links = near.join(number("u"), "u").join(number("v"), "v").select(F.col("u_of").alias("u"), F.col("v_of").alias("v"))
+    links = links.union(texts.join(prints.select("print", "of"), "print").where("id <> of").select("of", "id"))
+    links = links.union(exact_links(rows.select("row_hash", "id", body.cast("binary").alias("text")), texts, shingle, similarity))
+    rooted = texts.join(connected(links, SMALL_EDGES), F.col("id") == F.col("node"), "left").select("least", F.coalesce("root", "id").alias("root"))
+    stays = rooted.groupBy("root").agg(F.min("least").alias("least")).select("least", row_hash("least").alias("stays_hash")).distinct()
+    same = (rows["row_hash"] == stays["stays_hash"]) & same_row(rows["id"], stays["least"])
+    return rows.join(stays, same, "left_semi").dropDuplicates(["row_hash", "id"]).select("row.*")

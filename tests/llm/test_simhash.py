@@ -104,3 +104,38 @@ def test_long_chain_is_one_component(spark):
 def test_empty_table(spark):
     df = spark.createDataFrame([], "doc_id long, text string")
     assert simhash.simhash_components(df, "doc_id", "text").count() == 0
+
+
+def plain_kept(rows, shingle, similarity):
+    sets = []
+    for _, text in rows:
+        words = (text or "").lower().split()
+        sets.append({tuple(words[i : i + shingle]) for i in range(len(words) - shingle + 1)} or {tuple(words)})
+    prints = [simhash.text_fingerprints((t or "").encode(), shingle, True) for _, t in rows]
+    root = list(range(len(rows)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, j in itertools.combinations(range(len(rows)), 2):
+        one, two = ((a ^ b).bit_count() for a, b in zip(prints[i], prints[j]))
+        if (one <= 10 and one + two <= 20) or len(sets[i] & sets[j]) >= similarity * len(sets[i] | sets[j]) - 1e-9:
+            a, b = find(i), find(j)
+            root[max(a, b)] = min(a, b)
+    return sorted(k for i, (k, _) in enumerate(rows) if find(i) == i)
+
+
+def test_no_pair_of_the_similarity_stays(spark):
+    """Near copies of a similarity around 0.8, many of which differ in over 20 of 128 bits."""
+    random.seed(8)
+    rows = []
+    for i in range(150):
+        words = [f"w{random.randrange(3000)}" for _ in range(random.choice([40, 84, 200, 850]))]
+        other = list(words)
+        for at in random.sample(range(len(words)), max(1, round(len(words) * random.choice([0.008, 0.016, 0.02, 0.024, 0.03])))):
+            other[at] = f"changed{at}"
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(other))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(7)
+    assert sorted(r.doc_id for r in simhash.keep_representatives(df, "doc_id", "text").collect()) == plain_kept(rows, 5, 0.8)
