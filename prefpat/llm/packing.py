@@ -1,13 +1,14 @@
 """Hierarchical best-fit packing of token sequences.
 
 A text's ids and a closing separator make an item; only items over the capacity
-are cut, into pieces that fill a sequence and a rest. Every partition packs its
-items by best fit, largest first: an item goes where it leaves least room. Bins
-that are nearly full are emitted. The others go up a tree as items of their own:
-``FAN`` pools become one, whose bins are packed again, until one pool is left.
-A pool sends up at most ``POOL_ITEMS / FAN`` bins, those with most room, so that
-no pool ever holds more than ``POOL_ITEMS`` bins from below, however large the
-input. Every round is cut by a checkpoint.
+are cut, into pieces that fill a sequence and a rest. A hash deals the items of all
+tasks to pools, so that long and short ones mix whatever their order, and every
+pool packs its items by best fit, largest first: an item goes where it leaves least
+room. Bins that are nearly full are emitted. All others go up as items of their
+own: a hash of the bin deals them to pools again. Rounds go on until one pool takes
+all that is left or the number of underfull bins no longer falls. A pool holds about
+``POOL_ITEMS`` pieces, ``FIRST_ITEMS`` in the first round, however large the input.
+Every round is cut by a checkpoint.
 
 Defined cases: a null or empty text is one separator; a null key is carried
 along; repeated rows are items of their own; an empty table gives no rows. Only
@@ -18,6 +19,7 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
+from itertools import count
 
 import pyarrow as pa
 from pyspark import TaskContext
@@ -29,8 +31,10 @@ from prefpat.llm.common import cut, read_table, shuffle_parts
 
 CAPACITY = 2048
 SEPARATOR = 0
-FAN = 8
 POOL_ITEMS = 1 << 16
+FIRST_ITEMS = 1 << 13
+#: Levels that a sequence number has room for.
+LEVELS = 32
 #: A bin with at most this share of its capacity left is nearly full.
 SLACK = 1 / 256
 #: A bin that is fuller than this stays whole on its way up.
@@ -74,15 +78,11 @@ def packed(items: list[list[tuple]], level: int, pool: int, capacity: int, last:
     lengths = [sum(p[3] for p in item) for item in items]
     bins = best_fit(lengths, capacity)
     room = [capacity - sum(lengths[i] for i in b) for b in bins]
-    up: set[int] = set()
-    if not last:
-        under = [n for n, r in enumerate(room) if r > capacity * SLACK]
-        up = set(sorted(under, key=lambda n: -room[n])[: POOL_ITEMS // FAN])
     for n, own in enumerate(bins):
         place = 0
         for item in own:
             for piece in items[item]:
-                yield (*piece, level, pool, n, place, n not in up)
+                yield (*piece, level, pool, n, place, last or room[n] <= capacity * SLACK)
                 place += piece[3]
 
 
@@ -118,24 +118,20 @@ def pieces_of(text: str | None, path: str, capacity: int) -> Iterator[tuple]:
 
 
 def pack_texts(path: str, capacity: int):
-    """First level: arrow batches of (key, text) to packed pieces."""
+    """First level: arrow batches of (key, text) to pieces, each a bin of its own."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task, key_type = TaskContext.get().partitionId(), pa.int64()
-        items: list[list[tuple]] = []
-        pools = iter(range(task << 16, (task + 1) << 16))  # numbers of this task's own
+        bins = count()
 
         def rows() -> Iterator[tuple]:
-            nonlocal items, key_type
+            nonlocal key_type
             for batch in batches:
                 key_type = batch.column(0).type
                 for key, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                    items += [[(key, *piece)] for piece in pieces_of(text.as_py(), path, capacity)]
-                    if len(items) >= POOL_ITEMS:
-                        yield from packed(items, 0, next(pools), capacity, last=False)
-                        items = []
-            if items:
-                yield from packed(items, 0, next(pools), capacity, last=False)
+                    for piece in pieces_of(text.as_py(), path, capacity):
+                        n = next(bins)  # pools are numbers of this task's own
+                        yield (key, *piece, 0, (task << 16) + (n >> 16), n % (1 << 16), 0, piece[2] == capacity)
 
         # rows() learns the key's type from the first batch, before its first row
         held = rows()
@@ -180,14 +176,10 @@ def pack_bins(level: int, capacity: int, last: bool):
     return run
 
 
-def dense_pools(rows: DataFrame) -> tuple[DataFrame, int]:
-    """The rows with their pools numbered without large gaps, and how many numbers
-    there are. First-level pools are numbered (task, pool of the task)."""
-    task, own = F.shiftright("pool", 16), F.col("pool") % (1 << 16)
-    last = rows.agg(F.max(task).alias("task"), F.max(own).alias("own")).first()
-    if last.task is None:
-        return rows, 0
-    return rows.withColumn("pool", task * (last.own + 1) + own), (last.task + 1) * (last.own + 1)
+def left(rows: DataFrame) -> tuple[int, int]:
+    """How many pieces and how many bins there are; one piece of a bin has place 0."""
+    found = rows.agg(F.count(F.lit(1)), F.count(F.when(F.col("place") == 0, 1))).first()
+    return found[0], found[1]
 
 
 def pack(df: DataFrame, key: str, text: str, capacity: int = CAPACITY, path: str = DEFAULT_VOCABULARY) -> DataFrame:
@@ -195,18 +187,18 @@ def pack(df: DataFrame, key: str, text: str, capacity: int = CAPACITY, path: str
     source = df.select(F.col(f"`{key}`").alias("key"), F.col(f"`{text}`").alias("text"))
     schema = f"key {source.schema['key'].dataType.simpleString()}, {FIELD_TYPES}"
     rows = cut(source.mapInArrow(pack_texts(path, capacity), schema))
-    finished = rows.where("done")
-    rows, pools = dense_pools(rows.where("not done"))
-    level = 0
-    while pools > 0:
-        level, pools = level + 1, -(-pools // FAN)
-        up = F.floor(F.col("pool") / FAN).cast("long")
+    finished, rows, level = rows.where("done"), rows.where("not done"), 0
+    pieces, bins = left(rows)
+    while pieces and level + 1 < LEVELS:
+        level, pools = level + 1, -(-pieces // (POOL_ITEMS if level else FIRST_ITEMS))
+        up = F.pmod(F.xxhash64("pool", "bin", F.lit(level)), F.lit(pools))
         dealt = rows.withColumn("up", up).repartition(min(pools, shuffle_parts(df.sparkSession)), "up").sortWithinPartitions("up", "pool", "bin", "place")
         rows = cut(dealt.mapInArrow(pack_bins(level, capacity, pools == 1), schema))
-        finished = finished.unionByName(rows.where("done"))
-        rows = rows.where("not done")
-        if pools == 1:
+        finished, rows, before = finished.unionByName(rows.where("done")), rows.where("not done"), bins
+        pieces, bins = left(rows)
+        if bins >= before:
             break
+    finished = finished.unionByName(rows)
     number = F.shiftleft(F.col("level").cast("long"), 58).bitwiseOR(F.shiftleft("pool", 17)).bitwiseOR(F.col("bin"))
     return finished.select("key", "piece", "start", "length", "ids_crc32", number.alias("sequence_id"), F.col("place").alias("offset"))
 

@@ -68,3 +68,21 @@ def test_small_pools_and_no_rows(spark, monkeypatch):
     df = spark.createDataFrame([(str(i), "word " * (i % 50)) for i in range(200)], "doc_id string, text string")
     check(packing.pack(df, "doc_id", "text", capacity=64).collect(), {str(i): ["word " * (i % 50)] for i in range(200)}, 64)
     assert packing.pack(df.limit(0), "doc_id", "text").count() == 0
+
+
+def test_all_underfull_bins_meet_those_of_other_tasks(spark, monkeypatch):
+    """A task of long texts alone has more underfull bins than any bound on what it sends up."""
+    long, short = "tree " * 40, "of " * 20
+    one, two = (len(LIBRARY.encode(t, add_special_tokens=False).ids) + 1 for t in (long, short))
+    assert one + two <= 64 < 2 * one
+    rows = [(i, long if i < 20_000 else short) for i in range(40_000)]
+    df = spark.createDataFrame(spark.sparkContext.parallelize(rows, 2), "doc_id long, text string")
+    for first, pool in ((1 << 17, 1 << 17), (4096, 64)):  # one pool, and many
+        monkeypatch.setattr(packing, "FIRST_ITEMS", first, raising=False)
+        monkeypatch.setattr(packing, "POOL_ITEMS", pool)
+        found = packing.pack(df, "doc_id", "text", capacity=64).select("key", "sequence_id", "length").collect()
+        used = defaultdict(int)
+        for r in found:
+            used[r.sequence_id] += r.length
+        assert sorted(r.key for r in found) == list(range(40_000)) and max(used.values()) <= 64
+        assert len(used) <= 20_000 * 1.02
