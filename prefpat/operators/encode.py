@@ -94,7 +94,3 @@ def encode(long: DataFrame, name: str = "data", min_sup: int = 1) -> EncodedData
     total = long.agg(F.count_distinct("item")).first()[0]
     return EncodedDataset(name, pack(long, dictionary, bits.words_for(n_items)), dictionary, n, n_pos, n_labelled, n_items, total)
 
-
-def compressed(ds: EncodedDataset) -> DataFrame:
-    """Equal transactions of equal label as one row with their number ``cnt``."""
-    return ds.transactions.groupBy(*ds.masks, "label").agg(F.count(F.lit(1)).alias("cnt"))

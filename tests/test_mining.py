@@ -46,8 +46,32 @@ def test_limits_and_empty_set(toy, brute):
 
 
 def test_partitioned_over_many_chunks(toy, brute):
-    found = mine.frequent_partitioned(toy, 8, partitions=7, rows_per_task=3)
-    assert {r.pattern: r["sup"] for r in found.collect()} == {p: s for p, (s, _) in brute.items()}
+    found = mine.frequent_partitioned(toy, 8, rows_per_task=3, local_least=2)
+    assert mine.chunks_for(toy, 8, 3, 2) == 4
+    assert {r.pattern: (r["sup"], r.sup_pos) for r in found.collect()} == brute
+
+
+def test_partitioned_does_not_list_all_subsets_of_small_partitions(spark):
+    """One-row partitions of thirty items each: a threshold of one would give 2^30 sets."""
+    rows = [(t, f"i{i:02d}", t % 2) for t in range(24) for i in range(30) if u32_py("one", t, i) % 4]
+    ds = encode(spark.createDataFrame(rows, "tid long, item string, label int"))
+    ds.transactions = ds.transactions.repartition(24, "tid").persist()
+    found = mine.frequent(ds, 14, "partitioned").select("pattern", "sup", "sup_pos")
+    other = mine.frequent(ds, 14, "vertical").select("pattern", "sup", "sup_pos")
+    assert found.count() > 0 and found.exceptAll(other).isEmpty() and other.exceptAll(found).isEmpty()
+
+
+def test_support_of_given_patterns_and_classes(toy, brute):
+    every = mine.frequent(toy, 8, include_empty=True).persist()
+    got = {r.pattern: (r["sup"], r.sup_pos, r.sup_neg) for r in mine.support(every, toy).collect()}
+    assert got.pop("") == (ROWS + 1, ROWS // 2, ROWS // 2)
+    assert {p: v[:2] for p, v in got.items()} == brute and all(a - b == c for a, b, c in got.values())
+
+
+def test_length_bounds_every_engine(toy, brute):
+    want = {p: v for p, v in brute.items() if p.count(",") < 2}
+    for engine in mine.ENGINES:
+        assert {r.pattern: (r["sup"], r.sup_pos) for r in mine.frequent(toy, 8, engine, max_len=2).collect()} == want, engine
 
 
 def test_closed_and_rules(toy, brute):
