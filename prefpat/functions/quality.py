@@ -5,10 +5,11 @@ All take the columns of ``patterns`` (``sup``, ``sup_pos``, ``items``).
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from prefpat.operators.encode import EncodedDataset
+from prefpat.operators.relational import running_counts
 
 
 def frequency(n: int) -> Column:
@@ -62,14 +63,12 @@ def with_quality(patterns: DataFrame, ds: EncodedDataset, name: str, column: str
 def with_percentile(patterns: DataFrame, column: str = "phi", kind: str = "cume_dist") -> DataFrame:
     """Share of patterns that are not better; the best one has 1.
 
-    Patterns are counted by distinct value first, so only those counts are ranked
-    in one place, and not the patterns.
+    Patterns are counted by distinct value first, and the counts are summed in ranges
+    of values, so neither patterns nor values meet in one place.
     """
-    counts = patterns.groupBy(column).agg(F.count(F.lit(1)).alias("_n"))
-    up_to = Window.orderBy(column).rowsBetween(Window.unboundedPreceding, 0)
-    ranked = counts.select(column, F.sum("_n").over(up_to).alias("_upto"), "_n", F.sum("_n").over(Window.partitionBy()).alias("_all"))
+    ranked = running_counts(patterns.groupBy(column).agg(F.count(F.lit(1)).alias("_n")).persist(), column, "_n")
     if kind == "percent_rank":
-        share = F.when(F.col("_all") > 1, (F.col("_upto") - F.col("_n")) / (F.col("_all") - 1)).otherwise(0.0)
+        share = F.when(F.col("_all") > 1, F.col("_before") / (F.col("_all") - 1)).otherwise(0.0)
     else:
-        share = F.col("_upto") / F.col("_all")
+        share = (F.col("_before") + F.col("_n")) / F.col("_all")
     return patterns.join(ranked.select(column, share.alias("pct")), column)

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from prefpat.functions import bits
 from prefpat.functions.rng import u01
 from prefpat.operators.encode import EncodedDataset
+from prefpat.operators.relational import running_counts
 
 
 def query_quality(queries: DataFrame, pct: DataFrame) -> DataFrame:
@@ -63,9 +64,8 @@ def agreement(patterns: DataFrame, learned: str, hidden: str) -> DataFrame:
     """One row: Pearson correlation of the values and of their average ranks."""
 
     def ranked(column: str) -> DataFrame:
-        counts = patterns.groupBy(column).agg(F.count(F.lit(1)).alias("n"))
-        before = Window.orderBy(column).rowsBetween(Window.unboundedPreceding, -1)
-        return counts.select(column, (F.coalesce(F.sum("n").over(before), F.lit(0)) + (F.col("n") + 1) / 2).alias(f"{column}_rank"))
+        ranked = running_counts(patterns.groupBy(column).agg(F.count(F.lit(1)).alias("n")).persist(), column, "n")
+        return ranked.select(column, (F.col("_before") + (F.col("n") + 1) / 2).alias(f"{column}_rank"))
 
     both = patterns.select(learned, hidden).join(ranked(learned), learned).join(ranked(hidden), hidden)
     return both.agg(F.corr(learned, hidden).alias("pearson"), F.corr(f"{learned}_rank", f"{hidden}_rank").alias("spearman"))

@@ -4,6 +4,7 @@ of the dataset, so both are numpy kernels, run on the driver or inside executors
 
 from __future__ import annotations
 
+from collections.abc import Sequence
 from dataclasses import dataclass
 
 import numpy as np
@@ -27,12 +28,14 @@ class Fit:
     trace: list[float]
 
 
-def scd_l1(deltas: np.ndarray, lam: float = 1e-3, updates: int = 1000, seed=0, start: np.ndarray | None = None, active_only: bool = False, trace: bool = False) -> Fit:
+def scd_l1(deltas: np.ndarray, lam: float = 1e-3, updates: int = 1000, seed=0, start: np.ndarray | None = None, active_only: bool = False, trace: bool = False, order: Sequence[int] | None = None) -> Fit:
     """Stochastic coordinate descent; any number of updates gives a usable model.
 
     One update picks a coordinate, steps against its gradient by the curvature bound
     (a quarter of the column's largest square) and shrinks by the penalty. Margins
-    are kept, so an update costs one column. Columns of zeros stay at zero.
+    are kept, so an update costs one column. Columns of zeros stay at zero. ``order``
+    gives the coordinates of the updates where they have been drawn before, over
+    more columns than those that are here.
     """
     n, width = deltas.shape
     weights = np.zeros(width) if start is None else start.astype(float).copy()
@@ -46,7 +49,7 @@ def scd_l1(deltas: np.ndarray, lam: float = 1e-3, updates: int = 1000, seed=0, s
     margins = deltas @ weights
     columns = np.asfortranarray(deltas)
     for t in range(updates):
-        j = int(pool[u32_py(seed, "scd", t) % len(pool)])
+        j = int(pool[u32_py(seed, "scd", t) % len(pool)]) if order is None else order[t]
         if curvature[j]:
             column = columns[:, j]
             gradient = -(column @ sigmoid(-margins)) / n
@@ -60,6 +63,11 @@ def scd_l1(deltas: np.ndarray, lam: float = 1e-3, updates: int = 1000, seed=0, s
     return Fit(weights, history)
 
 
+def drawn_coordinates(width: int, updates: int, seed) -> list[int]:
+    """The coordinates that ``scd_l1`` picks over so many columns."""
+    return [u32_py(seed, "scd", t) % width for t in range(updates)]
+
+
 def kkt_violation(deltas: np.ndarray, weights: np.ndarray, lam: float) -> float:
     """Distance from optimality: 0 at the optimum."""
     gradient = -(deltas.T @ sigmoid(-(deltas @ weights))) / len(deltas)

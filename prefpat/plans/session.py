@@ -16,7 +16,7 @@ from prefpat.functions.features import FeatureSpec
 from prefpat.functions.model import Weights
 from prefpat.functions.rng import u01_py
 from prefpat.operators.xorcells import CellBounds, draw_py, estimate_m
-from prefpat.plans.learn import scd_l1
+from prefpat.plans.learn import drawn_coordinates, scd_l1
 from prefpat.plans.spaces import Shown
 from prefpat.plans.users import Ranker
 
@@ -37,6 +37,7 @@ class LoopConfig:
     active_only: bool = False
     warm_start: bool = False
     learn: bool = True
+    transactions: str = "literal"
 
     @classmethod
     def recommended(cls) -> LoopConfig:
@@ -50,6 +51,10 @@ class LoopConfig:
             raise ValueError("fewer patterns are retained than shown")
         if not 0 < self.A <= 1:
             raise ValueError("the floor lies in (0, 1]")
+        if self.transactions not in ("literal", "grouped"):
+            raise ValueError("transactions are drawn literally or grouped")
+        if self.active_only and FeatureSpec.of(self.features).has("transactions") and self.transactions == "literal":
+            raise ValueError("which transactions are active is known to the grouped form only")
 
 
 @dataclass
@@ -91,7 +96,7 @@ class PreferenceLoop:
     def choose(self, own: list[Shown], salt: str) -> list[Shown]:
         if self.cfg.cell == "random":
             return [min(own, key=lambda s: (-math.log(u01_py(salt, s.pattern)) / s.w, s.pattern))] if own else []
-        return sorted(own, key=lambda s: (-s.w, s.pattern))[: self.cfg.cell[1]]
+        return sorted(own, key=lambda s: (-round(s.w, 9), s.pattern))[: self.cfg.cell[1]]
 
     def sample(self, need: int, without: set[str], salt: str) -> list[tuple[Shown, str]]:
         """New distinct patterns from random cells; if cells fail, the heaviest fill up."""
@@ -121,12 +126,13 @@ class PreferenceLoop:
 
     # learning
 
-    def matrix(self) -> tuple[np.ndarray, np.ndarray, list]:
-        """Features of all shown patterns, difference vectors, and transaction groups."""
-        shown = list({s.pattern: s for r in self.rounds for s, _ in r.ordered}.values())
-        shown.sort(key=lambda s: s.pattern)
-        at = {s.pattern: i for i, s in enumerate(shown)}
-        blocks, groups = [], []
+    def all_shown(self) -> list[Shown]:
+        shown = {s.pattern: s for r in self.rounds for s, _ in r.ordered}
+        return [shown[p] for p in sorted(shown)]
+
+    def plain_features(self, shown: list[Shown]) -> np.ndarray:
+        """Items, length and frequency, as far as they take part."""
+        blocks = [np.zeros((len(shown), 0))]
         if self.spec.has("items"):
             items = np.zeros((len(shown), self.space.n_items))
             for i, s in enumerate(shown):
@@ -136,30 +142,55 @@ class PreferenceLoop:
             blocks.append(np.array([[s.len / max(self.space.n_items, 1)] for s in shown]))
         if self.spec.has("frequency"):
             blocks.append(np.array([[s.sup / max(self.space.n, 1)] for s in shown]))
-        if self.spec.has("transactions"):
-            inside, groups = self.space.coverage(shown)
-            blocks.append(inside.astype(float))
-        features = np.concatenate(blocks, axis=1)
+        return np.concatenate(blocks, axis=1)
+
+    def deltas(self, shown: list[Shown], features: np.ndarray) -> np.ndarray:
+        at = {s.pattern: i for i, s in enumerate(shown)}
         pairs = [(at[a.pattern], at[b.pattern]) for r in self.rounds for i, (a, x) in enumerate(r.ordered) for b, y in r.ordered[i + 1 :] if x != y]
-        deltas = np.array([features[a] - features[b] for a, b in pairs]).reshape(len(pairs), features.shape[1])
-        return features, deltas, groups
+        return np.array([features[a] - features[b] for a, b in pairs]).reshape(len(pairs), features.shape[1])
 
     def fit(self) -> None:
-        _, deltas, groups = self.matrix()
-        start = self.last_fit if self.cfg.warm_start and not groups else None
-        if start is not None and len(start) != deltas.shape[1]:
-            start = None
-        w = scd_l1(deltas, self.cfg.lam, self.cfg.T, f"{self.cfg.seed}/{len(self.rounds)}", start, self.cfg.active_only).weights
-        self.last_fit, at = w, 0
-        out = Weights.zero(self.space.n_items)
+        """Weights from all rankings so far.
+
+        With transactions as features an update may fall on any of them. Which ones the
+        updates fall on is drawn first; only those, at most one for each update, are
+        fetched, and only they can get a weight. ``grouped`` learns one weight for all
+        transactions that hold the same shown patterns and shares it among them.
+        """
+        cfg, shown, seed = self.cfg, self.all_shown(), f"{self.cfg.seed}/{len(self.rounds)}"
+        features = self.plain_features(shown)
+        width = features.shape[1]
+        if not self.spec.has("transactions"):
+            start = self.last_fit if cfg.warm_start and self.last_fit is not None and len(self.last_fit) == width else None
+            w = scd_l1(self.deltas(shown, features), cfg.lam, cfg.T, seed, start, cfg.active_only).weights
+            self.last_fit, transactions = w, []
+        elif cfg.transactions == "literal":
+            drawn = drawn_coordinates(width + self.space.n, cfg.T, seed)
+            numbers = sorted({j - width for j in drawn if j >= width})
+            masks = self.space.transactions_at(numbers)
+            own = np.array(masks, dtype=np.int64).reshape(len(masks), -1)
+            inside = np.array([((own & np.array(s.masks)) == np.array(s.masks)).all(axis=1) for s in shown], dtype=float).reshape(len(shown), len(numbers))
+            place = {n + width: i + width for i, n in enumerate(numbers)}
+            w = scd_l1(self.deltas(shown, np.concatenate([features, inside], axis=1)), cfg.lam, cfg.T, order=[place.get(j, j) for j in drawn]).weights
+            transactions = [(m, float(x)) for m, x in zip(masks, w[width:]) if x]
+        else:
+            inside, _, groups = self.space.coverage(shown)
+            w = scd_l1(self.deltas(shown, np.concatenate([features, inside.astype(float)], axis=1)), cfg.lam, cfg.T, seed, None, cfg.active_only).weights
+            weight = {g: float(x) for g, x in zip(groups, w[width:]) if x}
+            members = self.space.members(shown, list(weight)) if weight else {}
+            transactions = [(m, x / len(members[g])) for g, x in weight.items() for m in members[g]]
+        self.weights = self.as_weights(w, transactions)
+
+    def as_weights(self, w: np.ndarray, transactions: list) -> Weights:
+        out, at = Weights.zero(self.space.n_items), 0
         if self.spec.has("items"):
             out.items, at = w[: self.space.n_items].copy(), self.space.n_items
         if self.spec.has("length"):
             out.length, at = float(w[at]), at + 1
         if self.spec.has("frequency"):
-            out.frequency, at = float(w[at]), at + 1
-        out.transactions = [(g, float(x)) for g, x in zip(groups, w[at:]) if x]
-        self.weights = out
+            out.frequency = float(w[at])
+        out.transactions = transactions
+        return out
 
     # the loop
 
