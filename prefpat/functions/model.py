@@ -74,6 +74,7 @@ def with_weight(patterns: DataFrame, w: Weights, ds: EncodedDataset, floor: floa
     return score_patterns(patterns, w, ds).withColumn("w", logistic(F.col("score"), floor))
 
 
-def rank(patterns: DataFrame, by: str = "score") -> DataFrame:
-    """Predicted order: best first, ties by the pattern itself."""
-    return patterns.orderBy(F.desc(by), "pattern")
+def rank_keys(patterns: DataFrame, by: str = "score") -> DataFrame:
+    """Adds ``rank_key``, whose order is the predicted one: best first, equal scores (of
+    nine digits) by the pattern itself."""
+    return patterns.withColumn("rank_key", F.struct((-F.round(by, 9)).alias("worse"), "pattern"))

@@ -54,6 +54,17 @@ def joint_entropy(patterns: DataFrame, ds: EncodedDataset, normalise: bool = Fal
     return counts.groupBy("k").agg((bits_ / F.first("k") if normalise else bits_).alias("entropy"))
 
 
+def query_entropy(queries: DataFrame, patterns: DataFrame, ds: EncodedDataset) -> DataFrame:
+    """``(session_id, iter, entropy, entropy_share)`` of many queries in one pass over the
+    transactions; the queries, a few patterns each, are broadcast."""
+    shown = queries.join(patterns.select("pattern", *ds.masks), "pattern").groupBy("session_id", "iter").agg(F.array_sort(F.collect_list(F.struct("pattern", *ds.masks))).alias("shown"))
+    signed = ds.transactions.withColumn("_one", F.lit(1)).join(F.broadcast(shown.withColumn("_one", F.lit(1))), "_one")
+    counts = signed.groupBy("session_id", "iter", F.size("shown").alias("k"), signature(F.col("shown"), ds.masks).alias("s")).agg(F.count(F.lit(1)).alias("n"))
+    share = F.col("n") / F.lit(float(ds.n))
+    per = counts.groupBy("session_id", "iter", "k").agg(F.sum(-share * F.log2(share)).alias("entropy"))
+    return per.select("session_id", "iter", "entropy", (F.col("entropy") / F.col("k")).alias("entropy_share"))
+
+
 def regret(series: DataFrame) -> DataFrame:
     """Adds ``regret`` and its running sum to ``(session_id, measure, iter, value)``."""
     up_to = Window.partitionBy("session_id", "measure").orderBy("iter").rowsBetween(Window.unboundedPreceding, 0)

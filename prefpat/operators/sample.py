@@ -34,6 +34,22 @@ def ideal(patterns: DataFrame, phi: str, n: int, seed) -> DataFrame:
     return exact(patterns, F.col(phi), n, seed)
 
 
+def sessions(patterns: DataFrame, weight: Column, grid: DataFrame) -> DataFrame:
+    """``(session_id, iter, pos, pattern)``: for every row ``(session_id, seed, rounds, k)``
+    of a grid, ``rounds`` queries of ``k`` patterns drawn by weight, without learning.
+
+    The grid is broadcast; the ``k`` least race keys of a query are found in
+    sixteen parts first, so no query's candidates meet in one task.
+    """
+    rounds = grid.select("session_id", "seed", "k", F.explode(F.sequence(F.lit(1), F.col("rounds"))).alias("iter"))
+    drawn = patterns.withColumn("_w", weight).where("_w > 0").withColumn("_one", F.lit(1)).join(F.broadcast(rounds.withColumn("_one", F.lit(1))), "_one")
+    drawn = drawn.withColumn("_key", race_key(F.col("_w"), F.col("seed"), F.col("iter"), F.col("pattern")))
+    near = Window.partitionBy("session_id", "iter", "_part").orderBy("_key", "pattern")
+    order = Window.partitionBy("session_id", "iter").orderBy("_key", "pattern")
+    few = drawn.withColumn("_part", F.pmod(F.xxhash64("pattern"), F.lit(16))).withColumn("_at", F.row_number().over(near)).where("_at <= k")
+    return few.withColumn("pos", F.row_number().over(order)).where("pos <= k").select("session_id", "iter", "pos", "pattern")
+
+
 def from_cell(cells: DataFrame, strategy, seed=0) -> DataFrame:
     """One weighted draw of each cell (``"random"``) or its m best (``("top", m)``)."""
     if strategy == "random":
@@ -49,7 +65,8 @@ def from_cell(cells: DataFrame, strategy, seed=0) -> DataFrame:
 
 def batch(picks: DataFrame, need: int) -> DataFrame:
     """The first ``need`` distinct patterns over draws in order (best of a cell first)."""
-    first = picks.groupBy("pattern").agg(F.min_by(F.struct(*[c for c in picks.columns if c != "pattern"]), F.struct("draw_id", (-F.col("w")).alias("better"))).alias("p"))
+    kept = ["draw_id", "w"]
+    first = picks.groupBy("pattern").agg(F.min_by(F.struct(*kept), F.struct("draw_id", (-F.col("w")).alias("better"))).alias("p"))
     return first.select("pattern", "p.*").orderBy("draw_id", F.desc("w"), "pattern").limit(need)
 
 

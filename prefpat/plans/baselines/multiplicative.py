@@ -2,7 +2,7 @@
 
 A pattern's weight is the product of its items' weights. A liked sample multiplies
 its items' weights by b, a disliked one divides them. Draws are perfect ones over all
-patterns. Weights are kept as logarithms; ``double`` keeps plain numbers instead and
+patterns, one portable number each. Weights are kept as logarithms; ``double`` keeps plain numbers instead and
 stops as failed where they overflow.
 """
 
@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from prefpat.functions.rng import u01, u32_py
+from prefpat.functions.rng import u01, u01_py
 from prefpat.plans.spaces import MatrixSpace, Shown
 
 
@@ -29,7 +29,6 @@ class Sampled:
 def run(space: MatrixSpace, likes, n: int = 300, b: float = 1.75, seed=0, weights: str = "log", every: int = 1) -> Sampled:
     """``every``: weights change after so many samples, with all their feedback."""
     log_w, plain = np.zeros(space.n_items), np.ones(space.n_items)
-    rng = np.random.default_rng(u32_py(seed, "multiplicative"))
     samples: list[Shown] = []
     liked: list[bool] = []
     waiting = []
@@ -43,7 +42,8 @@ def run(space: MatrixSpace, likes, n: int = 300, b: float = 1.75, seed=0, weight
             score = np.log(np.maximum(product, 1e-300))
         else:
             score = np.add.reduceat(log_w[space.flat], space.starts)
-        place = int(np.argmax(score + rng.gumbel(size=len(score))))
+        reached = np.cumsum(np.exp(score - score.max()))
+        place = min(int(np.searchsorted(reached, u01_py(seed, "multiplicative", i) * reached[-1])), len(score) - 1)
         shown = space.shown([place], np.ones(len(space.pattern)))[0]
         samples.append(shown)
         liked.append(bool(likes.likes(shown.items)))

@@ -141,6 +141,37 @@ def marginals(regret: DataFrame, factors: Sequence[str] = FACTORS) -> DataFrame:
     return regret.sparkSession.sql(f"SELECT {factor} AS factor, {level} AS level, count(*) AS sessions, {stats} FROM {view} GROUP BY GROUPING SETS ({sets})")
 
 
+def factor_grid(datasets: Sequence[str], phis: Iterable[str] = QUALITIES, seeds=range(2), rounds: int = 30) -> pd.DataFrame:
+    """The preset and every level of every factor, one changed at a time."""
+    base = dict(datasets=datasets, phis=list(phis), seeds=seeds, rounds=rounds)
+    levels = [{}, {"k": [10]}, {"features": ["I", "ILF"]}, {"A": [0.1]}, {"l": [0, 2, 3]}, {"cell": ["random", "top2", "top3"]}]
+    return pd.concat([grid(**base, **level) for level in levels], ignore_index=True)
+
+
+def items_scaling(spark: SparkSession, prepared: dict[str, Prepared], rounds: int = 5) -> DataFrame:
+    """``(dataset, items, transactions, patterns, seconds)``: time of a round against the
+    number of items, under the preset. Sessions run one after the other on the driver."""
+    rows = []
+    for name, p in prepared.items():
+        space = p.space("surprisingness")
+        loop = PreferenceLoop(space, LoopConfig.recommended())
+        began = time.perf_counter()
+        loop.run(rounds, QualityRanker())
+        rows.append((name, space.n_items, space.n, len(space.pattern), (time.perf_counter() - began) / rounds))
+    return spark.createDataFrame(rows, "dataset string, items int, transactions int, patterns int, seconds double")
+
+
+def scatter_points(prepared: Prepared, phi: str, rounds: Sequence[int] = (1, 29), seed: int = 0) -> pd.DataFrame:
+    """Learned and hidden quality of every pattern after given rounds."""
+    space, parts = prepared.space(phi), []
+    loop = PreferenceLoop(space, CHARACTERISTIC.replace(seed=seed))
+    for i in range(1, max(rounds) + 1):
+        loop.step(QualityRanker())
+        if i in rounds:
+            parts.append(pd.DataFrame({"rounds": i, "pattern": space.pattern, "learned": space.weights(loop.weights, loop.cfg.A), "hidden": space.phi}))
+    return pd.concat(parts, ignore_index=True)
+
+
 def comparison(regret: DataFrame) -> DataFrame:
     """Methods by qualities: mean and deviation; sessions that failed are counted apart."""
     good = regret.where("status = 'ok'")
