@@ -53,32 +53,42 @@ def run_to_end(stream: DataFrame, name: str, checkpoint: str, mode: str = "appen
 WEIGHTS_SCHEMA = "session_id string, iter int, feature_id int, w double"
 
 
-def learn_from_feedback(rankings: DataFrame, n_items: int, lam: float = 1e-3, updates: int = 1000) -> DataFrame:
+def learn_from_feedback(rankings: DataFrame, n_items: int, lam: float = 1e-3, updates: int = 1000, keep_rounds: int = 30) -> DataFrame:
     """A stream of ranked patterns to a stream of weights.
 
     Input rows are ``(session_id, iter, pos, level, items)``. The state of a session
-    holds its difference vectors; rounds that are complete in a batch are learned in
-    order, and each emits the session's next weights. There is no timeout: with one, a
-    run over what is there now would wait for it and never end.
+    holds the rankings of its last ``keep_rounds`` rounds, which bounds it. Rows of a
+    round may come in several batches: the round is then learned again, with the pairs
+    between them. Every batch emits the weights after each round that it touches. There
+    is no timeout: with one, a run over what is there now would wait for it and never end.
     """
 
     def step(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        held = pickle.loads(state.get[0]) if state.exists else np.zeros((0, n_items))
-        rows = pd.concat(list(frames)).sort_values(["iter", "pos"])
-        out = []
-        for i, ranking in rows.groupby("iter"):
-            vectors = np.zeros((len(ranking), n_items))
-            for r, items in enumerate(ranking["items"]):
-                vectors[r, list(items)] = 1
-            levels = ranking["level"].to_numpy()
-            new = [vectors[a] - vectors[b] for a in range(len(vectors)) for b in range(a + 1, len(vectors)) if levels[a] != levels[b]]
-            held = np.concatenate([held, np.array(new).reshape(-1, n_items)])
-            w = scd_l1(held, lam, updates, f"{key[0]}/{i}").weights
-            out += [(key[0], int(i), int(f), float(w[f])) for f in np.flatnonzero(w)]
+        held: dict[int, dict[int, tuple[float, list[int]]]] = pickle.loads(state.get[0]) if state.exists else {}
+        rows, touched, out = pd.concat(list(frames)), set(), []
+        for r in rows.itertuples(index=False):
+            held.setdefault(int(r.iter), {})[int(r.pos)] = (float(r.level), list(map(int, r.items)))
+            touched.add(int(r.iter))
+        held = {i: held[i] for i in sorted(held)[-keep_rounds:]}
+        deltas = np.zeros((0, n_items))
+        for i, ranking in held.items():
+            deltas = np.concatenate([deltas, ranking_deltas([ranking[p] for p in sorted(ranking)], n_items)])
+            if i >= min(touched):
+                w = scd_l1(deltas, lam, updates, f"{key[0]}/{i}").weights
+                out += [(key[0], i, int(f), float(w[f])) for f in np.flatnonzero(w)]
         state.update((pickle.dumps(held),))
         yield pd.DataFrame(out, columns=["session_id", "iter", "feature_id", "w"])
 
-    return rankings.groupBy("session_id").applyInPandasWithState(step, WEIGHTS_SCHEMA, "pairs binary", "append", GroupStateTimeout.NoTimeout)
+    return rankings.groupBy("session_id").applyInPandasWithState(step, WEIGHTS_SCHEMA, "rankings binary", "append", GroupStateTimeout.NoTimeout)
+
+
+def ranking_deltas(ranking: list[tuple[float, list[int]]], n_items: int) -> np.ndarray:
+    """Difference vectors of a ranking's pairs, best first; ties give none."""
+    vectors = np.zeros((len(ranking), n_items))
+    for r, (_, items) in enumerate(ranking):
+        vectors[r, items] = 1
+    pairs = [(a, b) for a in range(len(ranking)) for b in range(a + 1, len(ranking)) if ranking[a][0] != ranking[b][0]]
+    return np.array([vectors[a] - vectors[b] for a, b in pairs]).reshape(-1, n_items)
 
 
 def loop_on_batches(triggers: DataFrame, loop, ranker, out: str, checkpoint: str):

@@ -3,7 +3,8 @@ import pandas as pd
 import pytest
 
 from prefpat import queries as q
-from prefpat.plans import experiments
+from prefpat.functions.model import Weights
+from prefpat.plans import experiments, learn
 from prefpat.plans.baselines import multiplicative, poolrank
 from prefpat.plans.session import LoopConfig, PreferenceLoop
 from prefpat.plans.spaces import SparkSpace
@@ -22,6 +23,47 @@ def space(prepared):
     return prepared.space("surprisingness")
 
 
+def test_transactions_score_patterns_never_shown(space):
+    """Every transaction with a weight counts for every pattern that it contains."""
+    loop = PreferenceLoop(space, LoopConfig(seed=2))
+    loop.run(5, QualityRanker())
+    w = loop.weights
+    shown = {s.pattern for r in loop.rounds for s, _ in r.ordered}
+    rest = space.score(Weights(w.items, w.length, w.frequency))
+    rows = {tuple(t) for t in space.transactions.view(np.int64).tolist()}
+    assert 0 < len(w.transactions) <= loop.cfg.T and {m for m, _ in w.transactions} <= rows
+    for p in np.linspace(0, len(space.pattern) - 1, 60).astype(int):
+        if space.pattern[p] not in shown:
+            inside = [x for m, x in w.transactions if all(np.int64(a) & np.int64(b) == np.int64(a) for a, b in zip(space.masks[p].view(np.int64), m))]
+            assert space.score(w)[p] == pytest.approx(rest[p] + sum(inside))
+
+
+def test_grouped_transactions_give_shown_patterns_the_literal_columns(space):
+    """A group's weight is shared among all its members, so unseen patterns get their part."""
+    loop = PreferenceLoop(space, LoopConfig(transactions="grouped"))
+    loop.run(4, QualityRanker())
+    shown = loop.all_shown()
+    inside, sizes, groups = space.coverage(shown)
+    assert sizes.sum() == space.n and (inside @ sizes == [s.sup for s in shown]).all()
+    members = space.members(shown, groups)
+    assert [len(members[g]) for g in groups] == sizes.tolist()
+    with pytest.raises(ValueError):
+        LoopConfig(active_only=True)
+
+
+def test_updates_fall_on_all_transactions_alike(space):
+    """Drawing first and fetching only what was drawn is the same as a fit over all columns."""
+    loop = PreferenceLoop(space, LoopConfig(seed=5))
+    loop.run(3, QualityRanker())
+    shown = loop.all_shown()
+    whole = np.concatenate([loop.plain_features(shown), space.inside(shown).astype(float)], axis=1)
+    w = learn.scd_l1(loop.deltas(shown, whole), loop.cfg.lam, loop.cfg.T, "5/3").weights
+    width = space.n_items + 2
+    assert loop.weights.items == pytest.approx(w[: space.n_items])
+    want = sorted((tuple(space.transactions[i - width].view(np.int64).tolist()), w[i]) for i in range(width, len(w)) if w[i])
+    assert sorted(loop.weights.transactions) == pytest.approx(want) if not want else [m for m, _ in sorted(loop.weights.transactions)] == [m for m, _ in want]
+
+
 def test_queries_keep_their_promises(space):
     loop = PreferenceLoop(space, LoopConfig(k=5, l=2))
     loop.run(8, QualityRanker())
@@ -36,7 +78,7 @@ def test_queries_keep_their_promises(space):
     assert len(loop.current()) == 5 and len(loop.more(4)) == 4
 
 
-@pytest.mark.parametrize("cfg", [LoopConfig(), LoopConfig(k=3, A=0.1, features="I", cell="random"), LoopConfig(l=0, cell=("top", 3), features="ILF")])
+@pytest.mark.parametrize("cfg", [LoopConfig(), LoopConfig(transactions="grouped"), LoopConfig(k=3, A=0.1, features="I", cell="random"), LoopConfig(l=0, cell=("top", 3), features="ILF")])
 def test_spark_and_matrix_run_the_same_session(prepared, space, cfg):
     graded = q.graded(prepared, "surprisingness")
     one, two = PreferenceLoop(SparkSpace(graded, prepared.ds), cfg), PreferenceLoop(space, cfg)
@@ -93,6 +135,51 @@ def test_grid_and_marginals(spark, prepared):
     assert len(cells) == 10 and cells.pattern.nunique() > 5 and (cells.within_cell_prob <= 0.2).all()
 
 
+def regrets(space, seeds, **level):
+    rows = experiments.grid(["x"], ["frequency"], seeds=seeds, rounds=15, **level).itertuples(index=False)
+    sums = [[sum(1 - v for v in c) for c in list(zip(*experiments.run_session(space, r)))[1:3]] for r in rows]
+    return np.mean(sums, axis=0)
+
+
+def test_published_directions(prepared):
+    """Which level of a factor is better, on average over seeds: cells, retention, size."""
+    space = prepared.space("frequency")
+    seeds = range(6)
+    preset = regrets(space, seeds)
+    assert preset[0] < regrets(space, seeds, cell=["random"])[0]
+    assert preset[1] < regrets(space, seeds, l=[0])[1]
+    assert regrets(space, seeds, k=[10])[1] < preset[1]
+    assert regrets(space, seeds, features=["ILF"])[0] < regrets(space, seeds, features=["I"])[0]
+
+
+def test_whole_grid_has_every_level():
+    rows = experiments.factor_grid(["a"], seeds=[0])
+    assert {c: set(rows[c]) for c in experiments.FACTORS} == {"k": {5, 10}, "features": {"I", "ILF", "ILFT"}, "A": {0.5, 0.1}, "l": {0, 1, 2, 3}, "cell": {"random", "top1", "top2", "top3"}}
+    assert rows.session_id.is_unique and len(rows) == 11 * 3
+
+
+def test_axes_are_those_of_a_plain_decomposition(prepared):
+    from prefpat.operators import measures
+
+    rows = measures.item_pca(prepared.patterns, prepared.ds.n_items, 2, keep=1.0).select("items", "pc1", "pc2").collect()
+    x = np.zeros((len(rows), prepared.ds.n_items))
+    for i, r in enumerate(rows):
+        x[i, r["items"]] = 1
+    x -= x.mean(axis=0)
+    u, s, _ = np.linalg.svd(x, full_matrices=False)
+    for a in range(2):
+        own = np.array([r[f"pc{a + 1}"] for r in rows])
+        assert own.var() == pytest.approx(s[a] ** 2 / len(x), rel=1e-9)
+
+
+def test_total_variation(spark):
+    from prefpat.operators import measures
+
+    draws = spark.createDataFrame([("a",), ("a",), ("b",), ("a",)], "pattern string")
+    weights = spark.createDataFrame([("a", 1.0), ("b", 1.0), ("c", 2.0)], "pattern string, w double")
+    assert measures.total_variation(draws, weights).first().total_variation == pytest.approx(0.5)
+
+
 def test_regret_of_the_shown_session(spark):
     from prefpat.operators import measures
 

@@ -1,14 +1,17 @@
 import tempfile
 
+import numpy as np
 import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
 from prefpat import queries as q
-from prefpat.operators import relational
-from prefpat.plans import sqlsurface
+from prefpat.operators import mine, relational
+from prefpat.operators.encode import encode
+from prefpat.plans import learn, sqlsurface
 from prefpat.plans.session import LoopConfig, PreferenceLoop
 from prefpat.plans.users import QualityRanker
+from prefpat.sources import files
 from prefpat.streaming import streams
 
 SF = "/root/testdata/sf0.001"
@@ -25,7 +28,21 @@ def test_windows_equal_batch(spark):
 
 def test_feedback_stream_ends_and_learns(spark):
     rows = q.stream_feedback(spark, SF).toPandas()
-    assert set(rows.session_id) == {"a", "b"} and set(rows.iter) == set(range(6)) and (rows.w != 0).all()
+    assert set(rows.session_id) == {"s"} and set(rows.iter) == set(range(6)) and (rows.w != 0).all()
+
+
+def test_a_ranking_split_over_batches_is_learned_whole(spark):
+    schema = "session_id string, iter int, pos int, level double, items array<int>"
+    rows = [("a", i, p, float(-p), [(i * 5 + p * 3 + j) % 12 for j in range(3)]) for i in range(3) for p in range(4)]
+    folder = tempfile.mkdtemp()
+    for at in range(0, len(rows), 3):  # a file holds parts of two rankings
+        spark.createDataFrame(rows[at : at + 3], schema).coalesce(1).write.mode("append").parquet(folder)
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    got = streams.run_to_end(streams.learn_from_feedback(stream, 12, updates=100), "split_feedback", tempfile.mkdtemp()).toPandas()
+    deltas = np.concatenate([streams.ranking_deltas([(r[3], r[4]) for r in rows if r[1] == i], 12) for i in range(3)])
+    want = learn.scd_l1(deltas, 1e-3, 100, "a/2").weights
+    last = got[got.iter == 2].iloc[-int((want != 0).sum()) :]
+    assert {int(f): w for f, w in zip(last.feature_id, last.w)} == {int(f): want[f] for f in want.nonzero()[0]}
 
 
 def test_loop_on_batches(spark):
@@ -69,3 +86,42 @@ def test_entry_and_contract(spark):
 
     assert contract.entry(spark).count() == 10
     assert set(contract.oracle_sql()) <= set(contract.queries())
+
+
+def test_numbers_and_running_counts(spark):
+    values = [5, 1, 9, 3, 7, 20, 11, 2]
+    df = spark.createDataFrame([(v,) for v in values], "v long").repartition(5)
+    assert {r.v: r.row for r in relational.numbered_rows(df, "v").collect()} == {v: i for i, v in enumerate(sorted(values))}
+    counts = spark.createDataFrame([(float(v), v) for v in values], "x double, n long")
+    got = {r.n: (r["_before"], r["_all"]) for r in relational.running_counts(counts, "x", "n").collect()}
+    assert got == {v: (sum(x for x in values if x < v), sum(values)) for v in values}
+
+
+def test_files_in_and_out(spark, tmp_path):
+    (tmp_path / "lines.txt").write_text("a b a\n\nb c\nb c\n")
+    long = files.read_item_lines(spark, str(tmp_path / "lines.txt"))
+    ds = encode(long)
+    assert (ds.n, ds.n_items) == (4, 3)
+    named = long.select("tid", "item", F.lit(1).alias("label"))
+    for fmt in ("parquet", "csv", "json"):
+        writer = named.write.mode("overwrite")
+        (writer.option("header", True).csv if fmt == "csv" else getattr(writer, fmt))(str(tmp_path / fmt))
+        back = files.read_long(spark, str(tmp_path / fmt), fmt)
+        assert sorted(map(tuple, back.collect()), key=str) == sorted(map(tuple, named.collect()), key=str)
+    patterns = mine.frequent(ds, 1)
+    for name in ("one", "two"):
+        files.write_patterns(patterns, str(tmp_path / "patterns"), name)
+    kept = spark.read.parquet(str(tmp_path / "patterns")).where("dataset = 'one' and len = 2")
+    assert kept.count() == patterns.where("len = 2").count() and "PartitionFilters: [isnotnull(dataset" in kept._jdf.queryExecution().toString()
+    files.append_rows(long, str(tmp_path / "log"))
+    files.append_rows(long, str(tmp_path / "log"))
+    assert spark.read.parquet(str(tmp_path / "log")).count() == 2 * long.count()
+    files.write_table(patterns.select("pattern", "sup"), str(tmp_path / "table"))
+    assert spark.read.csv(str(tmp_path / "table"), header=True).count() == patterns.count()
+
+
+def test_session_windows_in_a_stream(spark):
+    stream = streams.session_transactions(streams.event_stream(spark, SF))
+    got = streams.run_to_end(stream, "sessions", tempfile.mkdtemp(), "append").select("start", "user_id", "events")
+    batch = streams.session_transactions(spark.read.parquet(f"{SF}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")))
+    assert got.count() > 20 and got.join(batch, ["start", "user_id", "events"], "left_anti").count() == 0
