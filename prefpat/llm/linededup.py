@@ -1,17 +1,18 @@
 """Line dedup on content-defined chunks, in DataFrame functions only.
 
-Chunks. A rolling hash over the last two lines cuts a text into chunks where it
-falls on a residue, so a boundary depends on the lines next to it alone and
-survives any shift; a line of ``LONG_LINE`` words or more is always a chunk of
-its own. A passage that several texts share has the same boundaries inside it
-wherever it stands, but its first and last chunk are mixed with what surrounds
-it. So the spans that are compared start at any line of a chunk and end at any
-line of the same or the next chunk; chunks of over ``WIDE_CHUNK`` lines give the
-spans of whole chunks alone. Spans of two or more lines and ``LEAST_WORDS``
-words, or of ``LONG_LINE`` words, can be removed.
-
-Removal. Span hashes are counted over all texts (with partial counts before the
-shuffle); spans whose hash occurs again are fetched and their bytes compared.
+Chunks. A rolling hash over two neighbouring lines sets a boundary where it falls on a
+residue, so a boundary depends on the lines next to it alone and survives any shift.
+Lines without a word play no part. A passage that several texts share may begin and end
+between two boundaries, so a chunk is read from every line on: forward to the first
+boundary that gives it two lines and ``LEAST_WORDS`` words, and backward likewise; what
+sets its end are lines of its own. Where no boundary comes before it holds
+``LONG_LINE`` words it ends there, by content as well. A shared passage of that many
+words therefore has a chunk from its first line on and one back from its last line
+inside it, whatever stands around it and however its lines are cut; what its chunks
+may leave in between has fewer than ``LEAST_WORDS`` words or is one line.
+
+Removal. Chunk hashes are counted over all texts (with partial counts before the
+shuffle); chunks whose hash occurs again are fetched and their bytes compared.
 The first occurrence in the order of key, text hash and line stays, the lines of
 the others go. What is removed stands in an earlier place, so nothing that the
 corpus says is lost.
@@ -31,45 +32,52 @@ from prefpat.llm.common import WORD_CHAR_RE, cut, let, read_table
 
 #: One boundary in this many places, on average.
 DIVISOR = 2
-#: Fixed value: the factor of the rolling hash.
-ROLL = 31
+#: The factor of the rolling hash, and one that mixes its high bits.
+ROLL, MIX = 31, 2654435761
 LONG_LINE = 50
 LEAST_WORDS = 10
-WIDE_CHUNK = 8
+#: Lines tried first for a chunk's end; ``LONG_LINE`` lines always hold enough words.
+FEW_LINES = 4
 
 
 def spans_of(text: Column) -> Column:
-    """Array of ``(start, end, hash)``: the spans of a text that can be removed."""
-    lines = F.split(text, "\n")
-    digit = lambda x: F.conv(F.substring(F.md5(x), 1, 6), 16, 10).cast("int")
-    facts = F.transform(lines, lambda x: F.struct(digit(x).alias("d"), F.regexp_count(x, F.lit(WORD_CHAR_RE + "+")).alias("w"), F.xxhash64(x).alias("h")))
+    """Array of ``(start, end, hash)``: the chunks of a text, by line numbers."""
+    digit = lambda x: F.conv(F.substring(F.md5(x), 1, 6), 16, 10).cast("long")
+    fact = lambda x, i: F.struct(i.alias("i"), digit(x).alias("d"), F.regexp_count(x, F.lit(WORD_CHAR_RE + "+")).alias("w"), F.xxhash64(x).alias("h"))
+    facts = F.transform(F.filter(F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda s: s["x"].rlike(WORD_CHAR_RE)), lambda s: fact(s["x"], s["i"]))
 
-    def cuts(f: Column) -> Column:
-        at = lambda i, name: F.coalesce(F.get(f, i)[name], F.lit(0))
-        starts_here = lambda i: (i == 0) | (at(i, "w") >= LONG_LINE) | (at(i - 1, "w") >= LONG_LINE) | ((at(i - 2, "d").cast("long") * ROLL + at(i - 1, "d")) % DIVISOR == 0)
-        return let(F.filter(F.sequence(F.lit(0), F.size(f) - 1), starts_here), lambda starts: chosen(f, starts))
+    def bounded(f: Column) -> Column:
+        """Adds whether a boundary stands behind the line, by it and the one before, and
+        whether one stands before it, by it and the next."""
+        at = lambda j: F.coalesce(F.get(f, j)["d"], F.lit(0).cast("long"))
+        rolled = lambda i, j: F.shiftrightunsigned((at(i) * ROLL + at(j)) * F.lit(MIX), 16) % DIVISOR == 0
+        return F.transform(f, lambda x, j: F.struct(x["i"].alias("i"), x["w"].alias("w"), x["h"].alias("h"), ((j == 0) | rolled(j + 1, j)).alias("before"), ((j == F.size(f) - 1) | rolled(j - 1, j)).alias("behind")))
 
-    def chosen(f: Column, starts: Column) -> Column:
-        end = lambda k: F.coalesce(F.get(starts, k), F.size(f))
-        wide = lambda k: end(k + 1) - end(k) > WIDE_CHUNK
+    def size(lines: Column, boundary: str) -> Column:
+        """How many of the lines, from the first on, make a chunk; null if they do not."""
+        start = F.struct(F.lit(0).alias("n"), F.lit(0).alias("w"), F.lit(None).cast("int").alias("end"))
 
-        def of_chunk(k: Column) -> Column:
-            firsts = F.when(wide(k), F.array(end(k))).otherwise(F.sequence(end(k), end(k + 1) - 1))
-            inside = F.when(wide(k), F.array(end(k + 1))).otherwise(F.sequence(end(k) + 1, end(k + 1)))
-            beyond = F.when(end(k + 1) == F.size(f), F.array().cast("array<int>")).when(wide(k + 1), F.array(end(k + 2))).otherwise(F.sequence(end(k + 1) + 1, end(k + 2)))
-            pair = lambda a: F.transform(F.filter(F.concat(inside, beyond), lambda b: b > a), lambda b: F.struct(a.alias("start"), b.alias("end")))
-            return F.flatten(F.transform(firsts, pair))
+        def step(s: Column, x: Column) -> Column:
+            n, w = s["n"] + 1, s["w"] + x["w"]
+            ends = (w >= LONG_LINE) | (x[boundary] & (w >= LEAST_WORDS) & (n >= 2))
+            return F.struct(n.alias("n"), w.alias("w"), F.coalesce(s["end"], F.when(ends, n)).alias("end"))
 
-        def hashed(s: Column) -> Column:
-            own = F.slice(f, s["start"] + 1, s["end"] - s["start"])
-            return F.struct(s["start"].alias("start"), s["end"].alias("end"), F.xxhash64(F.transform(own, lambda x: x["h"])).alias("hash"))
+        return F.aggregate(lines, start, step, lambda s: s["end"])
 
-        words = lambda s: F.aggregate(F.slice(f, s["start"] + 1, s["end"] - s["start"]), F.lit(0), lambda n, x: n + x["w"])
-        can_go = lambda s: let(words(s), lambda n: (n >= LONG_LINE) | ((s["end"] - s["start"] >= 2) & (n >= LEAST_WORDS)))
-        all_spans = F.flatten(F.transform(F.sequence(F.lit(0), F.size(starts) - 1), of_chunk))
-        return F.transform(F.filter(all_spans, can_go), hashed)
+    def span(f: Column, first: Column, n: Column) -> Column:
+        own = F.slice(f, first + 1, n)
+        whole = F.struct(F.get(f, first)["i"].alias("start"), (F.get(f, first + n - 1)["i"] + 1).alias("end"), F.xxhash64(F.transform(own, lambda x: x["h"])).alias("hash"))
+        return F.when(n.isNotNull(), whole)
 
-    return let(facts, cuts)
+    def chunks(f: Column) -> Column:
+        ahead = lambda j, most: size(F.slice(f, j + 1, most), "behind")
+        back = lambda j, most: size(F.reverse(F.slice(f, F.greatest(j + 2 - most, F.lit(1)), F.least(j + 1, F.lit(most)))), "before")
+        long = lambda x: F.when(x["w"] >= LONG_LINE, 1)
+        forward = F.transform(f, lambda x, j: let(F.coalesce(long(x), ahead(j, FEW_LINES), ahead(j, LONG_LINE)), lambda n: span(f, j, n)))
+        backward = F.transform(f, lambda x, j: let(F.coalesce(long(x), back(j, FEW_LINES), back(j, LONG_LINE)), lambda n: span(f, j - n + 1, n)))
+        return F.filter(F.array_distinct(F.concat(forward, backward)), lambda s: s.isNotNull())
+
+    return let(facts, lambda f: let(bounded(f), chunks))
 
 
 def text_key(text: Column) -> Column:
@@ -108,7 +116,8 @@ def removable_lines(df: DataFrame, key: str, text: str) -> DataFrame:
     of_text = needed.groupBy("key", "text_hash").agg(F.collect_list(F.struct("start", "end", "hash")).alias("spans"))
     texts = df.select(F.col(f"`{key}`").alias("key"), text_key(F.col(f"`{text}`")).alias("text_hash"), F.col(f"`{text}`").alias("text"))
     lines = same_text(texts, of_text, "inner").select(F.split("text", "\n").alias("lines"), F.explode("spans").alias("s"))
-    bodies = lines.select("s.hash", F.array_join(F.slice("lines", F.col("s.start") + 1, F.col("s.end") - F.col("s.start")), "\n").alias("body"))
+    worded = F.filter(F.slice("lines", F.col("s.start") + 1, F.col("s.end") - F.col("s.start")), lambda x: x.rlike(WORD_CHAR_RE))
+    bodies = lines.select("s.hash", F.array_join(worded, "\n").alias("body"))
     equal = bodies.groupBy("hash").agg(F.min("body").alias("least"), F.max("body").alias("most")).where("least = most").select("hash")
     gone = outer.join(cut(equal), "hash").select("key", "text_hash", F.explode(F.sequence(F.col("start"), F.col("end") - 1)).alias("line"))
     return gone.groupBy("key", "text_hash").agg(F.collect_set("line").alias("gone"))
@@ -149,30 +158,27 @@ WITH docs AS (
 ), lines AS (
   SELECT doc_id, text, l, CAST(u.i AS BIGINT) AS i, l[u.i + 1] AS x FROM docs, unnest(range(len(l))) AS u(i)
 ), facts AS (
-  SELECT doc_id, text, i, x, CAST('0x' || substr(md5(x), 1, 6) AS BIGINT) AS d,
-         len(list_filter(regexp_split_to_array(x, '[ \t\n\x0B\f\r]+'), lambda w: w <> '')) AS w
-  FROM lines
-), starts AS (
-  SELECT *, i = 0 OR w >= 50 OR lag(w) OVER o >= 50 OR (coalesce(lag(d, 2) OVER o, 0) * 31 + lag(d) OVER o) % 2 = 0 AS s
-  FROM facts WINDOW o AS (PARTITION BY doc_id ORDER BY i)
-), chunks AS (
-  SELECT *, sum(CAST(s AS INT)) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM starts
-), sizes AS (
-  SELECT doc_id, k, min(i) AS lo, max(i) + 1 AS hi, max(i) + 1 - min(i) > 8 AS wide FROM chunks GROUP BY doc_id, k
-), firsts AS (
-  SELECT c.doc_id, c.k, c.i AS a FROM chunks c JOIN sizes z ON z.doc_id = c.doc_id AND z.k = c.k WHERE NOT z.wide OR c.i = z.lo
-), ends AS (
-  SELECT c.doc_id, c.k, c.i + 1 AS b FROM chunks c JOIN sizes z ON z.doc_id = c.doc_id AND z.k = c.k WHERE NOT z.wide OR c.i + 1 = z.hi
+  SELECT doc_id, i, x, CAST('0x' || substr(md5(x), 1, 6) AS BIGINT) AS d,
+         len(list_filter(regexp_split_to_array(x, '[ \t\n\x0B\f\r]+'), lambda w: w <> '')) AS w, row_number() OVER (PARTITION BY doc_id ORDER BY i) AS j
+  FROM lines WHERE regexp_matches(x, '[^ \t\n\x0B\f\r]')
+), closed AS MATERIALIZED (
+  SELECT *, j = 1 OR ((lead(d) OVER o * 31 + d) * 2654435761 // 65536) % 2 = 0 OR (lead(d) OVER o IS NULL AND (d * 2654435761 // 65536) % 2 = 0) AS before,
+         lead(d) OVER o IS NULL OR ((coalesce(lag(d) OVER o, 0) * 31 + d) * 2654435761 // 65536) % 2 = 0 AS behind
+  FROM facts WINDOW o AS (PARTITION BY doc_id ORDER BY j)
+), reach AS MATERIALIZED (
+  SELECT a.doc_id, a.j AS a, b.j AS b, a.before, b.behind, sum(c.w) AS w
+  FROM closed a JOIN closed b ON b.doc_id = a.doc_id AND b.j BETWEEN a.j AND a.j + 49 JOIN closed c ON c.doc_id = a.doc_id AND c.j BETWEEN a.j AND b.j GROUP BY ALL
 ), spans AS (
-  SELECT f.doc_id, f.a, e.b FROM firsts f JOIN ends e ON e.doc_id = f.doc_id AND e.k IN (f.k, f.k + 1) AND e.b > f.a
+  SELECT doc_id, a, min(b) AS b FROM reach WHERE w >= 50 OR (behind AND w >= 10 AND b > a) GROUP BY doc_id, a
+  UNION
+  SELECT doc_id, max(a) AS a, b FROM reach WHERE w >= 50 OR (before AND w >= 10 AND b > a) GROUP BY doc_id, b
 ), bodies AS (
-  SELECT s.doc_id, s.a, s.b, string_agg(c.x, chr(10) ORDER BY c.i) AS body, sum(c.w) AS w
-  FROM spans s JOIN chunks c ON c.doc_id = s.doc_id AND c.i >= s.a AND c.i < s.b GROUP BY s.doc_id, s.a, s.b
+  SELECT s.doc_id, min(c.i) AS lo, max(c.i) + 1 AS hi, string_agg(c.x, chr(10) ORDER BY c.i) AS body
+  FROM spans s JOIN closed c ON c.doc_id = s.doc_id AND c.j BETWEEN s.a AND s.b GROUP BY s.doc_id, s.a, s.b
 ), counted AS (
-  SELECT *, count(*) OVER (PARTITION BY body) AS n, row_number() OVER (PARTITION BY body ORDER BY doc_id, a) AS r
-  FROM bodies WHERE w >= 50 OR (b - a >= 2 AND w >= 10)
+  SELECT *, count(*) OVER (PARTITION BY body) AS n, row_number() OVER (PARTITION BY body ORDER BY doc_id, lo) AS r FROM bodies
 ), gone AS (
-  SELECT DISTINCT doc_id, i FROM counted, unnest(range(a, b)) AS u(i) WHERE n > 1 AND r > 1
+  SELECT DISTINCT doc_id, i FROM counted, unnest(range(lo, hi)) AS u(i) WHERE n > 1 AND r > 1
 ), kept AS (
   SELECT l.doc_id, string_agg(l.x, chr(10) ORDER BY l.i) FILTER (g.i IS NULL) AS text, count(*) AS n_lines, count(g.i) AS n_removed
   FROM lines l LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.i = l.i GROUP BY l.doc_id
