@@ -37,8 +37,8 @@ from pyspark.sql import functions as F
 from prefpat.llm.common import read_table
 
 DEFAULT_VOCABULARY = public_tokenizers.path("word_bpe_49k.json")
-#: Encoded words kept in each of two generations.
-KEPT_WORDS = 1 << 19
+#: Encoded words kept in each of two generations, and the longest ones that are kept.
+KEPT_WORDS, KEPT_LETTERS = 1 << 19, 64
 #: What counts as a word, by Unicode classes; and the same for
 #: texts without the characters on which the two engines' classes differ, and for
 #: lower-cased texts of Latin-1 alone.
@@ -81,18 +81,22 @@ def byte_symbols() -> list[str]:
 
 
 class Words(dict):
-    """Encoded words: a dictionary that fills itself and forgets the oldest half."""
+    """Encoded words: a dictionary that fills itself and forgets the oldest half. Words
+    are bounded in number and in length, so the whole is bounded in bytes."""
 
     def __init__(self, encode):
         super().__init__()
         self.encode, self.older = encode, {}
 
     def __missing__(self, word: str) -> bytes:
-        if len(self) >= KEPT_WORDS:
-            self.older = dict(self)
-            self.clear()
-        ids = self.older.get(word) or self.encode(word)
-        self[word] = ids
+        return self.keep(word, self.older.get(word) or self.encode(word))
+
+    def keep(self, word: str, ids: bytes) -> bytes:
+        if len(word) <= KEPT_LETTERS:
+            if len(self) >= KEPT_WORDS:
+                self.older = dict(self)
+                self.clear()
+            self[word] = ids
         return ids
 
 
@@ -178,13 +182,18 @@ class LibraryVocabulary(Vocabulary):
 
     def known(self, words: list[str]) -> Iterator[bytes]:
         kept, older = self.words, self.words.older
+        fresh: dict[str, bytes] = {}  # this text's own new words
         if new := [w for w in set(words) if w not in kept and w not in older]:
             found, own = iter(new), array("I")
             for number in self.library.encode(" ".join(new), add_special_tokens=False).ids:
                 own.append(number)
                 if self.ends[number]:
-                    kept[next(found)] = own.tobytes()
+                    fresh[next(found)] = own.tobytes()
                     own = array("I")
+            known = [fresh[w] if w in fresh else kept[w] for w in words]
+            for word, ids in fresh.items():
+                kept.keep(word, ids)
+            return iter(known)
         return super().known(words)
 
 

@@ -5,15 +5,16 @@ shingles; each shingle is hashed with XXH64, seed 42; bit b of the fingerprint i
 1 if it is set in over half of the hashes. Texts without words get fingerprint 0.
 
 Candidates. Only distinct fingerprints are compared, so exact copies, however
-many, cost one entry. Bits are cut into ``budget + 2`` blocks: two fingerprints
-that differ in at most ``budget`` bits agree on two whole blocks at least. Each
-fingerprint is therefore sent once for each pair of blocks, to the bucket of
-these two blocks' bits; a bucket is the subtree of a trie in which those bits
-come first. Inside a bucket the trie is joined with itself: node pairs go down
+many, cost one entry. Bits are cut into ``budget + agree`` blocks: two fingerprints
+that differ in at most ``budget`` bits agree on ``agree`` whole blocks at least. Each
+fingerprint is therefore sent once for each block (``agree`` 1) or pair of blocks (2),
+to the bucket of these blocks' bits; a bucket is the subtree of a trie in which those
+bits come first. Inside a bucket the trie is joined with itself: node pairs go down
 together, a differing bit adds one, and a pair is pruned as soon as its sum
-exceeds the budget. A pair of nodes with few leaves below is compared at once.
-Every pair within the budget meets in a bucket, so no link is lost; a bucket
-returns a spanning forest of its links and not all pairs of a group.
+exceeds the budget. A pair of nodes with at most ``leaf`` pairs of leaves below is
+compared at once; with ``leaf`` 1 only what the descent leaves is compared. Every pair
+within the budget meets in a bucket, so no link is lost; a bucket returns a spanning
+forest of its links and not all pairs of a group.
 
 Components. Large-star and small-star rounds over the forests, each cut by a
 checkpoint, give connected components in a number of rounds that grows with the
@@ -47,8 +48,11 @@ BITS = 64
 #: Shingles hashed at a time, and pairs compared at a time: they bound memory.
 HASH_CHUNK = 1 << 16
 PAIR_CHUNK = 1 << 20
-#: A node pair with at most this many leaf pairs is compared without going on.
+#: Leaf pairs up to which a node pair is compared without going on, where the budget is
+#: too wide for the upper levels of a bucket's trie to prune.
 LEAF_PAIRS = 64
+#: Parts into which the fingerprints of one component are dealt when they get its name.
+SALT = 16
 #: Rows of whole buckets gathered before a join starts.
 BUCKET_ROWS = 1 << 18
 #: Near copies meet where all least hashes of one band agree: at a similarity of 0.8
@@ -162,14 +166,18 @@ def compare_leaves(prints: np.ndarray, guards: np.ndarray, pairs: np.ndarray, bu
         forest.add(left, right)
 
 
-def trie_self_join(buckets: np.ndarray, prints: np.ndarray, guards: np.ndarray, budget: int, both: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+def trie_self_join(buckets: np.ndarray, prints: np.ndarray, guards: np.ndarray, budget: int, both: int | None = None, leaf: int = LEAF_PAIRS, counts: dict | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Links of a spanning forest of all pairs within the budget and one bucket.
 
     ``both``, if given, also bounds the differing bits of print and guard
     together. Returned as two arrays of fingerprints. Positions of a sorted array stand for
     leaves and ranges of it for nodes; a node's children are found by counting
-    the ones of the next bit in its range.
+    the ones of the next bit in its range. ``counts``, if given, gets how many leaf pairs
+    were pruned above the leaves, compared, and known to be near without comparing.
     """
+    counts = {} if counts is None else counts
+    counts |= {"pruned": 0, "compared": 0, "sure": 0}
+    below_ = lambda n: int(((n[1] - n[0]) * (n[3] - n[2])).sum())
     order = np.lexsort((prints, buckets))
     prints, guards, buckets = prints[order], guards[order], buckets[order]
     first = np.flatnonzero(np.r_[True, buckets[1:] != buckets[:-1]]) if len(buckets) else np.zeros(0, int)
@@ -188,10 +196,12 @@ def trie_self_join(buckets: np.ndarray, prints: np.ndarray, guards: np.ndarray,
         for own in nodes[:, sure].T:
             leaves = np.r_[own[0] : own[1], own[2] : own[3]]
             forest.add(np.repeat(leaves[0], len(leaves) - 1), leaves[1:])
-        leaf = ((nodes[1] - nodes[0]) * (nodes[3] - nodes[2]) <= LEAF_PAIRS) & ~sure
-        if leaf.any():
-            compare_leaves(prints, guards, nodes[:, leaf], budget, both, forest)
-        go = ~leaf & ~sure
+        few = ((nodes[1] - nodes[0]) * (nodes[3] - nodes[2]) <= leaf) & ~sure
+        if few.any():
+            compare_leaves(prints, guards, nodes[:, few], budget, both, forest)
+        counts["compared"] += below_(nodes[:, few])
+        counts["sure"] += below_(nodes[:, sure])
+        go = ~few & ~sure
         nodes, wrong = nodes[:, go], wrong[go]
         if not nodes.shape[1]:
             continue
@@ -207,17 +217,18 @@ def trie_self_join(buckets: np.ndarray, prints: np.ndarray, guards: np.ndarray,
         ]
         nodes, wrong = np.concatenate([x for x, _ in below], axis=1), np.concatenate([w for _, w in below])
         live = (nodes[0] < nodes[1]) & (nodes[2] < nodes[3]) & (wrong <= budget)
+        counts["pruned"] += below_(nodes[:, wrong > budget])
         work.append((depth + 1, nodes[:, live], wrong[live]))
     forest.settle()
     child = np.flatnonzero(forest.root != np.arange(len(prints)))
     return prints[forest.root[child]], prints[child]
 
 
-def join_buckets(budget: int, both: int | None):
+def join_buckets(budget: int, both: int | None, leaf: int = LEAF_PAIRS):
     """Arrow batches of (bucket, print, guard), sorted by bucket, to batches of links."""
 
     def links(bucket: np.ndarray, prints: np.ndarray, guards: np.ndarray) -> pa.RecordBatch:
-        u, v = trie_self_join(bucket, prints.view(np.uint64), guards.view(np.uint64), budget, both)
+        u, v = trie_self_join(bucket, prints.view(np.uint64), guards.view(np.uint64), budget, both, leaf)
         return pa.RecordBatch.from_arrays([pa.array(u.view(np.int64)), pa.array(v.view(np.int64))], names=["u", "v"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -238,24 +249,26 @@ def join_buckets(budget: int, both: int | None):
     return run
 
 
-def block_buckets(print_: Column, budget: int) -> Column:
-    """An array of bucket numbers, one for each pair of blocks."""
-    count = budget + 2
+def block_buckets(print_: Column, budget: int, agree: int) -> Column:
+    """An array of bucket numbers, one for each choice of ``agree`` blocks (1 or 2)."""
+    count = budget + agree
     edges = [BITS * i // count for i in range(count + 1)]
     blocks = list(zip(edges, edges[1:]))
     bits = lambda lo, hi: F.shiftrightunsigned(print_, lo).bitwiseAND(F.lit((1 << (hi - lo)) - 1))
     buckets = []
-    for number, (one, two) in enumerate(combinations(blocks, 2)):
-        high = F.shiftleft(bits(*one), two[1] - two[0]).bitwiseOR(bits(*two))
+    for number, chosen in enumerate(combinations(blocks, agree)):
+        high = bits(*chosen[0])
+        for block in chosen[1:]:
+            high = F.shiftleft(high, block[1] - block[0]).bitwiseOR(bits(*block))
         buckets.append(high.bitwiseOR(F.lit(number << 48)))
     return F.array(*buckets)
 
 
-def near_links(prints: DataFrame, budget: int, both: int | None = None) -> DataFrame:
+def near_links(prints: DataFrame, budget: int, both: int | None = None, agree: int = 2, leaf: int = LEAF_PAIRS) -> DataFrame:
     """Links ``(u, v)`` between distinct fingerprints (columns ``print``, ``guard``)."""
-    spread = prints.select(F.explode(block_buckets(F.col("print"), budget)).alias("bucket"), "print", "guard")
+    spread = prints.select(F.explode(block_buckets(F.col("print"), budget, agree)).alias("bucket"), "print", "guard")
     dealt = spread.repartition(shuffle_parts(prints.sparkSession), "bucket").sortWithinPartitions("bucket")
-    return dealt.mapInArrow(join_buckets(budget, both), "u long, v long")
+    return dealt.mapInArrow(join_buckets(budget, both, leaf), "u long, v long")
 
 
 def forest_roots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -291,7 +304,7 @@ def connected(links: DataFrame, small: int = 0) -> DataFrame:
         edges = cut(small.where("a <> b").distinct())
 
 
-def simhash_components(df: DataFrame, key: str, text: str, shingle: int = 5, budget: int = 10, both: int | None = 20) -> DataFrame:
+def simhash_components(df: DataFrame, key: str, text: str, shingle: int = 5, budget: int = 10, both: int | None = 20, agree: int = 2, leaf: int = LEAF_PAIRS) -> DataFrame:
     """``(key, print, component)`` of every row: its fingerprint and the smallest
     key that links reach.
 
@@ -299,20 +312,26 @@ def simhash_components(df: DataFrame, key: str, text: str, shingle: int = 5, bud
     ``both``, a second fingerprint guards it: the two may differ in at most
     ``both`` bits of 128 together. By default that is a similarity of 0.84, near
     a Jaccard similarity of 0.8 of the shingles; unrelated texts then never link.
+    Rows of one print are one link group whatever their guards.
     """
     source = df.select(F.col(key).alias("key"), fingerprint_column(F.col(text), shingle, both is not None).alias("f"))
     prints = cut(source.select("key", "f.print", "f.guard"))
-    groups = cut(prints.groupBy("print").agg(F.min("guard").alias("guard"), F.min("key").alias("least")))
-    roots = connected(near_links(groups, budget, both))
-    rooted = groups.join(roots, F.col("print") == F.col("node"), "left").select("print", "least", F.coalesce("root", "print").alias("root"))
-    smallest = rooted.groupBy("root").agg(F.min("least").alias("component"))
-    named = rooted.select("print", "root").join(smallest, "root").select("print", "component")
-    return prints.join(named, "print").select("key", "print", "component")
+    groups = cut(prints.groupBy("print", "guard").agg(F.min("key").alias("least")))
+    roots = connected(near_links(groups, budget, both, agree, leaf))
+    least = groups.groupBy("print").agg(F.min("least").alias("least"))
+    rooted = cut(least.join(roots, F.col("print") == F.col("node"), "left").select("print", "least", F.coalesce("root", "print").alias("root")))
+    # only components of several prints need a common name; a large one is dealt in parts
+    linked = rooted.where("print <> root").select("root").distinct()
+    smallest = rooted.join(linked, "root", "left_semi").groupBy("root").agg(F.min("least").alias("component"))
+    salted = smallest.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
+    named = rooted.withColumn("part", F.pmod(F.xxhash64("print"), F.lit(SALT)).cast("int")).join(salted, ["root", "part"], "left")
+    return prints.join(named.select("print", F.coalesce("component", "least").alias("component")), "print").select("key", "print", "component")
 
 
 def op3_simhash(spark, sf_dir):
-    """Components of all documents: 4-word shingles, at most 4 differing bits."""
-    found = simhash_components(read_table(spark, sf_dir, "documents"), "doc_id", "text", shingle=4, budget=4, both=None)
+    """Components of all documents: 4-word shingles, at most 4 differing bits, and the
+    trie's descent alone to find them."""
+    found = simhash_components(read_table(spark, sf_dir, "documents"), "doc_id", "text", shingle=4, budget=4, both=None, agree=1, leaf=1)
     return found.select(F.col("key").alias("doc_id"), F.lpad(F.lower(F.hex("print")), 16, "0").alias("fingerprint"), F.col("component").alias("component_id"))
 
 
@@ -504,10 +523,10 @@ def keep_representatives(df: DataFrame, key: str, text: str, shingle: int = 5, b
     found = rows.select(F.col("id").alias("key"), sketch_column(body, shingle).alias("s")).select("key", "s.*")
     firsts = [F.first(c).alias(c) for c in ("print", "guard", "set_print", "set_guard", "bands")]
     texts = cut(found.groupBy("id").agg(F.min("key").alias("least"), *firsts))
-    prints = cut(texts.groupBy("print").agg(F.min("guard").alias("guard"), F.min("id").alias("of")))
-    near = near_links(prints.select("print", "guard"), budget, both)
+    prints = cut(texts.groupBy("print").agg(F.min("id").alias("of")))
+    near = near_links(cut(texts.select("print", "guard").distinct()), budget, both)
     number = lambda name: prints.select(F.col("print").alias(name), F.col("of").alias(f"{name}_of"))
-    links = near.join(number("u"), "u").join(number("v"), "v").select(F.col("u_of").alias("u"), F.col("v_of").alias("v"))
+    links = near.where("u <> v").join(number("u"), "u").join(number("v"), "v").select(F.col("u_of").alias("u"), F.col("v_of").alias("v"))
     links = links.union(texts.join(prints.select("print", "of"), "print").where("id <> of").select("of", "id"))
     links = links.union(exact_links(rows.select("row_hash", "id", body.cast("binary").alias("text")), texts, shingle, similarity))
     rooted = texts.join(connected(links, SMALL_EDGES), F.col("id") == F.col("node"), "left").select("least", F.coalesce("root", "id").alias("root"))
