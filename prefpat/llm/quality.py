@@ -13,11 +13,13 @@ from labelled texts: a cutoff is safe if an exact binomial test rejects, from
 the good texts that it would reject, that more than ``risk`` of all good texts
 of the stratum would be. Cutoffs are tested from lenient to strict and testing
 stops at the first that is not safe, which needs no correction inside a stratum;
-the error rate is divided by the number of strata (Bonferroni), so that with
-probability ``1 - error`` no stratum rejects more than ``risk`` of its good
-texts. Of the safe cutoffs the one that serves best is used: most bad texts
-rejected, less ``good_weight`` times the good ones. A stratum with too few good
-labels for any proof has no cutoff, and only the base rule acts there.
+the error rate is divided by the number of strata and one for all of them together
+(Bonferroni), so that with probability ``1 - error`` no stratum rejects more than
+``risk`` of its good texts. Of the safe cutoffs the one that serves best is used: most
+bad texts rejected, less ``good_weight`` times the good ones. A stratum with too few
+good labels for any proof takes the cutoff of all strata together, whose promise is
+about all good texts; without that too, only the base rule acts there. The promise
+covers what a cutoff rejects and not what the base rule does.
 
 Defined cases: a null or blank text has no words and fails the base rule; labels
 with a null key or value are ignored, of several labels of a key the worst
@@ -43,6 +45,8 @@ CUTOFFS = (8.0, 6.0, 5.0, 4.0, 3.0, 2.5, 2.0, 1.75, 1.5, 1.25, 1.0, 0.8, 0.6, 0.
 #: First number of words of each length stratum.
 STRATA = (0, 150, 600)
 RISK, ERROR, GOOD_WEIGHT = 0.02, 0.05, 10.0
+#: The number under which all strata are tested together.
+POOLED = -1
 
 
 def without(text: Column, characters: str) -> Column:
@@ -145,16 +149,23 @@ def safe_cutoffs(measured: DataFrame, labels: DataFrame, key: str, good: str, ri
     known = known.groupBy(F.col(f"`{key}`").alias("key")).agg(F.min(F.col(f"`{good}`").cast("int")).alias("good"))
     step = sum(((F.col("score") < c).cast("int") for c in CUTOFFS), F.lit(0))
     counts = measured.select("key", "stratum", step.alias("step")).join(known, "key").groupBy("stratum", "step").agg(F.count_if(F.col("good") == 1).alias("goods"), F.count_if(F.col("good") == 0).alias("bads"))
+    counts = counts.unionByName(counts.groupBy(F.lit(POOLED).alias("stratum"), "step").agg(F.sum("goods").alias("goods"), F.sum("bads").alias("bads")))
     wide = counts.groupBy("stratum").agg(F.sum("goods").alias("n"), F.collect_list(F.struct("step", "goods", "bads")).alias("steps"))
     part = lambda field: F.aggregate(F.filter("steps", lambda s: s["step"] <= F.col("at")), F.lit(0).cast("long"), lambda x, s: x + s[field])
     at = F.explode(F.array([F.struct(F.lit(i).alias("at"), F.lit(c).alias("cutoff")) for i, c in enumerate(CUTOFFS)]))
     tried = wide.select("stratum", "n", "steps", at.alias("t")).select("stratum", "n", "steps", "t.at", "t.cutoff").select("stratum", "n", "at", "cutoff", part("goods").alias("wrong"), part("bads").alias("right"))
     tested = tried.withColumn("p_value", binomial_tail(F.col("wrong").cast("int"), F.col("n").cast("int"), risk))
     so_far = Window.partitionBy("stratum").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
-    safe = tested.withColumn("worst", F.max("p_value").over(so_far)).where(F.col("worst") <= error / len(STRATA))
+    level = error / (len(STRATA) + 1)
+    safe = tested.withColumn("worst", F.max("p_value").over(so_far)).where(F.col("worst") <= level)
     gain = F.col("right") - good_weight * F.col("wrong")
-    best = safe.groupBy("stratum").agg(F.max(F.struct(gain.alias("gain"), (-F.col("at")).alias("lenient"), "cutoff")).alias("best"))
-    return best.where("best.gain > 0").select("stratum", "best.cutoff")
+    best = safe.groupBy("stratum").agg(F.max(F.struct(gain.alias("gain"), (-F.col("at")).alias("lenient"), "cutoff")).alias("best")).where("best.gain > 0")
+    known = wide.join(best, "stratum", "left").select("stratum", F.struct(F.col("best.cutoff").alias("cutoff"), (F.pow(F.lit(1 - risk), F.col("n")) <= level).alias("provable")).alias("own"))
+    every = known.agg(F.map_from_entries(F.collect_list(F.struct("stratum", "own"))).alias("known"))
+    own = F.try_element_at("known", F.col("stratum"))
+    cutoff = F.when(F.coalesce(own["provable"], F.lit(False)), own["cutoff"]).otherwise(F.try_element_at("known", F.lit(POOLED))["cutoff"])
+    each = every.select("known", F.explode(F.sequence(F.lit(0), F.lit(len(STRATA) - 1))).alias("stratum"))
+    return each.select("stratum", cutoff.alias("cutoff")).where("cutoff is not null")
 
 
 def judge(measured: DataFrame, cutoffs: DataFrame) -> DataFrame:
@@ -213,17 +224,24 @@ WITH docs AS (
   SELECT doc_id, min(quality) AS good FROM labels WHERE quality IS NOT NULL GROUP BY doc_id
 ), scale AS (
   SELECT unnest([8.0, 6.0, 5.0, 4.0, 3.0, 2.5, 2.0, 1.75, 1.5, 1.25, 1.0, 0.8, 0.6, 0.5, 0.4, 0.3]) AS cutoff, unnest(range(16)) AS pos
+), placed AS (
+  SELECT stratum, score, good FROM scored JOIN known USING (doc_id) UNION ALL SELECT -1, score, good FROM scored JOIN known USING (doc_id)
 ), tried AS (
   SELECT stratum, pos, cutoff, count(*) FILTER (good = 1) AS n, count(*) FILTER (good = 1 AND score >= cutoff) AS wrong, count(*) FILTER (good = 0 AND score >= cutoff) AS "right"
-  FROM scored JOIN known USING (doc_id) CROSS JOIN scale GROUP BY ALL
+  FROM placed CROSS JOIN scale GROUP BY ALL
 ), tested AS (
   SELECT *, list_sum(list_transform(range(wrong + 1), lambda i: exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln(0.02) + (n - i) * ln(0.98)))) AS p FROM tried WHERE n > 0
 ), safe AS (
   SELECT *, max(p) OVER (PARTITION BY stratum ORDER BY pos) AS worst FROM tested
 ), best AS (
-  SELECT stratum, cutoff, "right" - 10 * wrong AS gain FROM safe WHERE worst <= 0.05 / 3
+  SELECT stratum, cutoff, "right" - 10 * wrong AS gain FROM safe WHERE worst <= 0.05 / 4
   QUALIFY row_number() OVER (PARTITION BY stratum ORDER BY "right" - 10 * wrong DESC, pos) = 1
+), goods AS (
+  SELECT stratum, count(*) FILTER (good = 1) AS n FROM placed GROUP BY stratum
+), cutoffs AS (
+  SELECT s.stratum, CASE WHEN 0.98 ** coalesce(g.n, 0) <= 0.05 / 4 THEN own.cutoff ELSE pooled.cutoff END AS cutoff
+  FROM range(3) AS s(stratum) LEFT JOIN goods g ON g.stratum = s.stratum LEFT JOIN best own ON own.stratum = s.stratum AND own.gain > 0 LEFT JOIN best pooled ON pooled.stratum = -1 AND pooled.gain > 0
 )
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND coalesce(score < cutoff, true) AS kept
-FROM scored LEFT JOIN (SELECT * FROM best WHERE gain > 0) b USING (stratum)
+FROM scored LEFT JOIN cutoffs USING (stratum)
 """
