@@ -32,8 +32,6 @@ LIMIT = 0.3
 CREDIBLE = 0.95
 #: Suffixes of two labels under which names are registered.
 LONG_SUFFIXES = ("ac.uk", "co.in", "co.jp", "co.kr", "co.nz", "co.uk", "co.za", "com.ar", "com.au", "com.br", "com.cn", "com.mx", "com.tr", "com.tw", "gov.uk", "ne.jp", "or.jp", "org.au", "org.uk")
-#: Parts of host names that tell what is on their pages.
-BAD_NAMES = ("adult", "ads", "bets", "casino", "pills", "porn", "spam", "xxx")
 #: Least and greatest correlation of two outcomes of a unit: strengths 9999 and 1.
 SPREAD = (1e-4, 0.5)
 
@@ -100,16 +98,14 @@ def beta_tail(a: np.ndarray, b: np.ndarray, x: float) -> np.ndarray:
 
 
 def page_outcomes(pages: DataFrame, url: str, html: str) -> DataFrame:
-    """``(host, bad)``: a page is bad if runs of symbols follow a tenth of its words,
-    or if its host is named for what filters are meant to catch.
+    """``(host, bad)``: a page is bad if runs of symbols follow a tenth of its words.
 
-    Weak labels that every page can be given; better ones take their place.
+    Weak labels that every page can be given, from what it says alone and not from its
+    address; better ones take their place.
     """
-    host = host_of(F.col(f"`{url}`"))
     runs = F.regexp_count(F.col(f"`{html}`"), F.lit(r"[#*$%]{3}|(&amp;){3}|!!"))
     spaces = F.length(F.col(f"`{html}`")) - F.length(F.replace(F.col(f"`{html}`"), F.lit(" "), F.lit("")))
-    named = F.arrays_overlap(F.split(host, "[.-]"), F.array(*map(F.lit, BAD_NAMES)))
-    return pages.select(host.alias("host"), ((10 * runs > spaces + 1) | named).cast("int").alias("bad"))
+    return pages.select(host_of(F.col(f"`{url}`")).alias("host"), (10 * runs > spaces + 1).cast("int").alias("bad"))
 
 
 def strength(counts: DataFrame, mean: str) -> float:
@@ -188,12 +184,12 @@ WITH parts AS (
 ), parsed AS (
   SELECT page_id, html, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM parts
 ), outcomes AS (
-  SELECT host, CAST(10 * len(regexp_extract_all(html, '[#*$%]{3}|(?:&amp;){3}|!!')) > length(html) - length(replace(html, ' ', '')) + 1
-              OR list_has_any(regexp_split_to_array(host, '[.-]'), ['adult', 'ads', 'bets', 'casino', 'pills', 'porn', 'spam', 'xxx']) AS INT) AS bad FROM parsed
+  SELECT host, CAST(10 * len(regexp_extract_all(html, '[#*$%]{3}|(?:&amp;){3}|!!')) > length(html) - length(replace(html, ' ', '')) + 1 AS INT) AS bad FROM parsed
 ), labels_of AS (
   SELECT host, list_reverse(string_split(host, '.')) AS l, count(*) AS n, sum(bad) AS k FROM outcomes WHERE bad IS NOT NULL GROUP BY host
 ), hosts AS (
-  SELECT host, n, k, CASE WHEN len(l) > 1 THEN l[2] || '.' || l[1] ELSE l[1] END AS domain, l[1] AS suffix FROM labels_of
+  SELECT host, n, k, array_to_string(list_reverse(l[1 : long + 2]), '.') AS domain, array_to_string(list_reverse(l[1 : long + 1]), '.') AS suffix
+  FROM (SELECT *, CAST(coalesce(l[2] || '.' || l[1] IN (LONG_SUFFIXES), false) AS INT) AS long FROM labels_of)
 ), domains AS (
   SELECT domain, suffix, sum(n) AS n, sum(k) AS k FROM hosts GROUP BY ALL
 ), suffixes AS (
@@ -230,4 +226,4 @@ WITH parts AS (
 SELECT page_id, host, path, rule,
        CASE WHEN rule IN ('org/', 'com/fr/') THEN 'allow' WHEN rule IS NOT NULL OR coalesce(p_above, 0) >= 0.95 THEN 'block' ELSE 'allow' END AS verdict
 FROM ruled LEFT JOIN tails USING (host)
-"""
+""".replace("LONG_SUFFIXES", ", ".join(f"'{s}'" for s in LONG_SUFFIXES))
