@@ -8,9 +8,13 @@ trained together by stochastic gradient descent in numpy on the driver.
 Training sees a bounded sample: of each learned language's rows those with the
 smallest hashes of their keys, ``PER_LANGUAGE`` of them, ``SAMPLE_ROWS`` in all.
 Only hashed counts of whole texts come to the driver, at most ``BUCKETS`` for a
-row. A fifth of the sample is kept from training and calibrates: a temperature
-makes scores probabilities, and the score under which only ``REJECTED`` of the
-kept texts fall rejects.
+row; of more than ``LANGUAGES`` languages the commonest are learned.
+
+Other rows, ``CALIBRATION_ROWS`` at most, calibrate; only their scores come to the
+driver. A temperature makes scores probabilities, and of the ``n`` best scores the k-th
+least rejects what is below it, k being ``REJECTED`` times n + 1, rounded down. A text
+like those learned from is then rejected with a chance of at most ``REJECTED``; where
+the rows are too few to show that, nothing but texts without a letter is rejected.
 
 For prediction the two linear maps are multiplied into one table of rows by
 languages, a few hundred kilobytes that do not grow with the input; words met
@@ -27,7 +31,7 @@ from __future__ import annotations
 import functools
 import re
 import zlib
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
@@ -43,7 +47,10 @@ PER_LANGUAGE = 400
 SAMPLE_ROWS = 4096
 EPOCHS = 6
 RATE = 4.0
-REJECTED = 0.001
+REJECTED = 0.002
+CALIBRATION_ROWS = 8192
+#: Most languages that are learned.
+LANGUAGES = 512
 #: Neutral subwords added to every text, so that a short one is not told surely.
 PRIOR = 20
 #: Temperatures tried; the least one keeps an error-free sample from certainty.
@@ -98,21 +105,18 @@ def softmax(x: np.ndarray) -> np.ndarray:
 
 
 def fit(samples: list[tuple[np.ndarray, np.ndarray, str]], seed: int = 7) -> Model | None:
-    """Train on (rows, shares, language) of texts; None without any."""
+    """Train on (rows, shares, language) of texts; None without any. Not calibrated yet."""
     samples = [s for s in samples if len(s[0])]
     languages = tuple(sorted({s[2] for s in samples}))
     if not languages:
         return None
     rng = np.random.default_rng(seed)
-    order = rng.permutation(len(samples))
-    kept = set(order[: len(samples) // 5].tolist()) if len(samples) >= 10 * len(languages) else set()
-    learned = [i for i in range(len(samples)) if i not in kept]
     embedding = rng.normal(0, 0.3, (BUCKETS, DIMENSIONS))
     weights, bias = rng.normal(0, 0.3, (DIMENSIONS, len(languages))), np.zeros(len(languages))
     target = np.array([languages.index(s[2]) for s in samples])
-    steps, done = EPOCHS * len(learned), 0
+    steps, done = EPOCHS * len(samples), 0
     for _ in range(EPOCHS):
-        for i in rng.permutation(learned):
+        for i in rng.permutation(len(samples)):
             rows, shares, _ = samples[i]
             rate = RATE * (1 - done / steps)
             mean = shares @ embedding[rows]
@@ -122,44 +126,65 @@ def fit(samples: list[tuple[np.ndarray, np.ndarray, str]], seed: int = 7) -> Mod
             weights -= 0.1 * rate * np.outer(mean, error)
             bias -= 0.01 * rate * error
             done += 1
-    table = embedding @ weights
-    held = sorted(kept) or learned
-    logits = np.array([samples[i][1] @ table[samples[i][0]] + bias for i in held])
-    own = target[held]
+    return Model(languages, (embedding @ weights).astype(np.float32), bias.astype(np.float32), 1.0, 0.0)
+
+
+def calibrated(model: Model, logits: np.ndarray, languages: list[str]) -> Model:
+    """Temperature and threshold from the logits of other texts and their languages."""
+    if not len(logits):
+        return model
+    own = np.array([model.languages.index(x) for x in languages])
 
     def loss(temperature: float) -> float:
-        return float(-np.log(softmax(logits / temperature)[np.arange(len(held)), own] + 1e-300).mean())
+        return float(-np.log(softmax(logits / temperature)[np.arange(len(own)), own] + 1e-300).mean())
 
-    temperature = min(TEMPERATURES, key=loss)
-    right = np.sort(softmax(logits / temperature).max(axis=1))
-    threshold = float(right[int(REJECTED * len(right))]) * 0.9
-    return Model(languages, table.astype(np.float32), bias.astype(np.float32), float(temperature), min(threshold, 0.5))
+    temperature = float(min(TEMPERATURES, key=loss))
+    scores = np.sort(softmax(logits / temperature).max(axis=1))
+    k = int(REJECTED * (len(scores) + 1))
+    return replace(model, temperature=temperature, threshold=float(scores[k - 1]) if k else 0.0)
 
 
-def sample(df: DataFrame, key: str, text: str, lang: str) -> list[tuple[np.ndarray, np.ndarray, str]]:
-    """Hashed counts of a bounded sample of labelled rows, the same at every run."""
+def known_rows(df: DataFrame, key: str, text: str, lang: str) -> DataFrame:
     known = df.select(F.col(f"`{key}`").cast("string").alias("key"), F.col(f"`{text}`").alias("text"), F.col(f"`{lang}`").alias("lang"))
-    known = known.where("key is not null and text is not null and lang is not null").withColumn("h", F.abs(F.xxhash64("key") % 1_000_000))
-    totals = {r.lang: r.n for r in known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
+    return known.where("key is not null and text is not null and lang is not null").withColumn("h", F.abs(F.xxhash64("key") % 1_000_000))
+
+
+def bounds_of(known: DataFrame) -> tuple[DataFrame | None, int, int]:
+    """``(lang, below, above)``: hashes below the first bound are trained on, those between
+    it and the second calibrate; and how many rows of a language are trained on, at most."""
+    totals = {r.lang: r.n for r in known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(LANGUAGES).collect()}
     if not totals:
-        return []
+        return None, 0, 0
     each = max(1, min(PER_LANGUAGE, SAMPLE_ROWS // len(totals)))
-    share = F.create_map(*[x for lang, n in totals.items() for x in (F.lit(lang), F.lit(1_000_000 * 1.5 * each / n))])
+    more = CALIBRATION_ROWS / 2 / sum(totals.values())  # as the languages come, whatever is trained on
+    rows = [(lang, below, below + 1_000_000 * more) for lang, n in totals.items() for below in [min(1_000_000 * 1.5 * each / n, 800_000.0)]]
+    return known.sparkSession.createDataFrame(rows, "lang string, below double, above double"), each, len(totals)
+
+
+def sample(known: DataFrame, bounds: DataFrame, each: int, languages: int) -> list[tuple[np.ndarray, np.ndarray, str]]:
+    """Hashed counts of a bounded sample of labelled rows, the same at every run."""
 
     @F.pandas_udf("rows binary, shares binary")
     def counted(texts: pd.Series) -> pd.DataFrame:
         return pd.DataFrame([[a.tobytes() for a in text_counts(t)] for t in texts], columns=["rows", "shares"])
 
-    chosen = known.where(F.col("h") < F.element_at(share, F.col("lang"))).withColumn("c", counted("text")).select("lang", "h", "key", "c.rows", "c.shares")
+    chosen = known.join(F.broadcast(bounds), "lang").where("h < below").withColumn("c", counted("text")).select("lang", "h", "key", "c.rows", "c.shares")
     out: list[tuple[np.ndarray, np.ndarray, str]] = []
     taken: dict[str, int] = {}
-    for r in sorted(chosen.limit(2 * each * len(totals)).collect(), key=lambda r: (r.h, r.key)):
+    for r in sorted(chosen.limit(2 * each * languages).collect(), key=lambda r: (r.h, r.key)):
         if taken.setdefault(r.lang, 0) < each:
             taken[r.lang] += 1
             out.append((np.frombuffer(r.rows, np.int32), np.frombuffer(r.shares, np.float32), r.lang))
     return out
 
 
+def calibrate(model: Model, known: DataFrame, bounds: DataFrame) -> Model:
+    rows = known.join(F.broadcast(bounds), "lang").where("h >= below and h < above").where(F.col("lang").isin(*model.languages))
+    logits = logit_column(model, F.col("text"))
+    found = rows.select("lang", logits.alias("z")).where("z is not null").limit(CALIBRATION_ROWS).collect()
+    return calibrated(model, np.array([r.z for r in found]).reshape(len(found), -1), [r.lang for r in found])
+
+
 class WordSums:
     """Table sums of words, kept up to a bound and then gathered anew."""
 
@@ -220,13 +245,33 @@ def predict_column(model: Model | None, text: Column) -> Column:
     return predict(text)
 
 
+def logit_column(model: Model, text: Column) -> Column:
+    """A text's sums before any temperature; null for texts without a letter."""
+    from pyspark import SparkContext
+
+    loaded = SparkContext._active_spark_context.broadcast(model)
+    number = loaded._jbroadcast.id()
+
+    @F.pandas_udf("array<double>")
+    def logits(texts: pd.Series) -> pd.Series:
+        sums = word_sums(number, loaded)
+        return pd.Series([(sums.mean(words) + loaded.value.bias).tolist() if (words := words_in(t)) else None for t in texts], dtype=object)
+
+    return logits(text)
+
+
 def is_held_out(key: Column) -> Column:
     """Rows that are never learned from: a fixed quarter of the keys."""
     return F.coalesce(F.crc32(key.cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
 def learn(df: DataFrame, key: str, text: str, lang: str) -> Model | None:
-    return fit(sample(df.where(~is_held_out(F.col(f"`{key}`"))), key, text, lang))
+    known = known_rows(df.where(~is_held_out(F.col(f"`{key}`"))), key, text, lang)
+    bounds, each, languages = bounds_of(known)
+    if bounds is None:
+        return None
+    model = fit(sample(known, bounds, each, languages))
+    return model and calibrate(model, known, bounds)
 
 
 def keep_known(df: DataFrame, key: str, text: str, lang: str) -> DataFrame:
