@@ -1,5 +1,7 @@
 import random
 
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from prefpat.llm import langid
@@ -54,3 +56,39 @@ def test_nothing_to_learn(spark):
     assert langid.learn(df, "doc_id", "text", "lang") is None
     assert langid.keep_known(df, "doc_id", "text", "lang").count() == 0
     assert langid.keep_known(df.limit(0), "doc_id", "text", "lang").count() == 0
+
+
+def made_languages(rng, names, n):
+    letters = {"aa": "abcdefg", "bb": "hijklmn", "cc": "opqrstu"}
+    word = lambda name: "".join(rng.choice(list(letters[name]), rng.integers(2, 8)))
+    return [(i, " ".join(word(name) for _ in range(rng.integers(20, 80))), name) for i, name in enumerate(names * n)]
+
+
+def test_prediction_equals_the_plain_sum(spark):
+    """A text's mean of table rows, multiplied out word by word."""
+    rows = made_languages(np.random.default_rng(1), ["aa", "bb", "cc"], 60)
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid.learn(df, "doc_id", "text", "lang")
+    got = {r.doc_id: r.p for r in df.select("doc_id", langid.predict_column(model, df.text).alias("p")).collect()}
+    for i, text, _ in rows[::7]:
+        total, n = np.zeros(len(model.languages)), 0
+        for w in text.lower().split():
+            for row in langid.subword_rows(w):
+                total, n = total + model.table[row], n + 1
+        logits = (total / (n + langid.PRIOR) + model.bias) / model.temperature
+        chances = np.exp(logits - logits.max())
+        chances /= chances.sum()
+        assert got[i].lang == model.languages[int(chances.argmax())] and got[i].score == pytest.approx(chances.max(), abs=1e-4)
+
+
+def test_rejection_is_calibrated(spark):
+    """Few texts of the learned languages fall; most of what is none of them does."""
+    rng = np.random.default_rng(2)
+    rows = made_languages(rng, ["aa", "bb"], 1500)
+    other = [(10_000 + i, t, None) for i, t, _ in made_languages(rng, ["cc"], 200)]
+    df = spark.createDataFrame(rows + other, "doc_id long, text string, lang string")
+    model = langid.learn(df, "doc_id", "text", "lang")
+    kept = {r.doc_id: r.p.accepted for r in df.select("doc_id", langid.predict_column(model, df.text).alias("p")).collect()}
+    own = np.mean([kept[i] for i, _, _ in rows])
+    strange = np.mean([kept[i] for i, _, _ in other])
+    assert own >= 0.98 and strange <= 0.5

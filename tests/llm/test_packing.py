@@ -86,3 +86,16 @@ def test_all_underfull_bins_meet_those_of_other_tasks(spark, monkeypatch):
             used[r.sequence_id] += r.length
         assert sorted(r.key for r in found) == list(range(40_000)) and max(used.values()) <= 64
         assert len(used) <= 20_000 * 1.02
+
+
+def test_kept_words_are_bounded(monkeypatch):
+    """Both vocabularies forget, whatever words come, and long words are not kept."""
+    monkeypatch.setattr(bpe, "KEPT_WORDS", 10)
+    for kind in (bpe.Vocabulary, bpe.LibraryVocabulary):
+        known = kind(bpe.DEFAULT_VOCABULARY)
+        fresh = bpe.Vocabulary(bpe.DEFAULT_VOCABULARY)
+        for i in range(60):
+            text = " ".join(f"{chr(97 + i % 26)}{chr(97 + j)}x{'long' * 30}" if j % 5 == 0 else f"{chr(97 + i % 26)}{chr(97 + j)}word" for j in range(25))
+            assert known.encode(text + " again again") == fresh.encode(text + " again again")
+            assert len(known.words) <= 10 and len(known.words.older) <= 10
+            assert all(len(w) <= bpe.KEPT_LETTERS for w in known.words)

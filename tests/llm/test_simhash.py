@@ -139,3 +139,58 @@ def test_no_pair_of_the_similarity_stays(spark):
         rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(other))]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(7)
     assert sorted(r.doc_id for r in simhash.keep_representatives(df, "doc_id", "text").collect()) == plain_kept(rows, 5, 0.8)
+
+
+def test_the_descent_prunes_and_leaves_little_to_compare():
+    """Random prints and near ones: most pairs fall with a pair of nodes."""
+    rng = np.random.default_rng(8)
+    values = rng.integers(0, 1 << 64, 3000, dtype=np.uint64)
+    near = values[:200] ^ (np.uint64(1) << rng.integers(0, 64, 200, dtype=np.uint64)) ^ (np.uint64(1) << rng.integers(0, 64, 200, dtype=np.uint64))
+    values, counts = np.unique(np.r_[values, near]), {}
+    zeros = np.zeros(len(values), dtype=np.int64)
+    u, v = simhash.trie_self_join(zeros, values, values, 4, leaf=1, counts=counts)
+    wide = simhash.trie_self_join(zeros, values, values, 4)
+    assert len(u) == len(wide[0]) >= 190
+    assert counts["pruned"] > 0.85 * len(values) ** 2 / 2 and counts["compared"] < 0.12 * len(values) ** 2 / 2
+
+
+def test_links_of_one_block_are_those_of_all_pairs(spark):
+    rng = np.random.default_rng(9)
+    values = rng.integers(0, 1 << 64, 300, dtype=np.uint64)
+    for flips in (1, 3, 4, 5):
+        own = values[:60].copy()
+        for _ in range(flips):
+            own ^= np.uint64(1) << rng.integers(0, 64, 60, dtype=np.uint64)
+        values = np.r_[values, own]
+    values = np.unique(values)
+    want = reference_roots(values, 4)
+    df = spark.createDataFrame([(int(x), 0) for x in values.view(np.int64)], "print long, guard long")
+    for agree, leaf in ((1, 1), (2, 64)):
+        links = [(r.u, r.v) for r in simhash.near_links(df, 4, None, agree, leaf).collect()]
+        place = {int(x): i for i, x in enumerate(values.view(np.int64))}
+        forest = simhash.Forest(len(values))
+        forest.add(np.array([place[a] for a, _ in links]), np.array([place[b] for _, b in links]))
+        assert forest.root.tolist() == want
+
+
+def reference_roots(values, budget):
+    root = list(range(len(values)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i in range(len(values)):
+        for j in np.flatnonzero(np.bitwise_count(values ^ values[i]) <= budget).tolist():
+            a, b = find(i), find(j)
+            root[max(a, b)] = min(a, b)
+    return [find(x) for x in range(len(values))]
+
+
+def test_equal_prints_with_other_guards_keep_their_links():
+    """A print that occurs with several guards links by any of them."""
+    one, two = 0x0F0F, 0x0F00
+    prints, guards = np.array([one, one, two], dtype=np.uint64), np.array([0, (1 << 40) - 1, (1 << 40) - 1], dtype=np.uint64)
+    u, v = simhash.trie_self_join(np.zeros(3, dtype=np.int64), prints, guards, 10, 20)
+    assert {frozenset((int(a), int(b))) for a, b in zip(u, v)} == {frozenset((one, two))}
