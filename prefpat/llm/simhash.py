@@ -321,8 +321,7 @@ def simhash_components(df: DataFrame, key: str, text: str, shingle: int = 5, bud
     least = groups.groupBy("print").agg(F.min("least").alias("least"))
     rooted = cut(least.join(roots, F.col("print") == F.col("node"), "left").select("print", "least", F.coalesce("root", "print").alias("root")))
     # only components of several prints need a common name; a large one is dealt in parts
-    linked = rooted.where("print <> root").select("root").distinct()
-    smallest = rooted.join(linked, "root", "left_semi").groupBy("root").agg(F.min("least").alias("component"))
+    smallest = rooted.groupBy("root").agg(F.min("least").alias("component"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
     salted = smallest.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
     named = rooted.withColumn("part", F.pmod(F.xxhash64("print"), F.lit(SALT)).cast("int")).join(salted, ["root", "part"], "left")
     return prints.join(named.select("print", F.coalesce("component", "least").alias("component")), "print").select("key", "print", "component")
