@@ -34,9 +34,15 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
 
 def cut(df: DataFrame) -> DataFrame:
     """Materialise ``df`` reliably (a checkpoint, never a local one), so that a
-    lost executor costs a reread and not a recomputation of everything above."""
+    lost executor costs a reread and not a recomputation of everything above.
+
+    What was shuffled above is of no more use then, but stays on the executors' disks
+    until the driver's collector notices; it is asked to.
+    """
     ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    written = df.checkpoint(eager=True)
+    df.sparkSession._jvm.System.gc()
+    return written
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
