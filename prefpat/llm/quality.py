@@ -149,6 +149,7 @@ def safe_cutoffs(measured: DataFrame, labels: DataFrame, key: str, good: str, ri
     known = known.groupBy(F.col(f"`{key}`").alias("key")).agg(F.min(F.col(f"`{good}`").cast("int")).alias("good"))
     step = sum(((F.col("score") < c).cast("int") for c in CUTOFFS), F.lit(0))
     counts = measured.select("key", "stratum", step.alias("step")).join(known, "key").groupBy("stratum", "step").agg(F.count_if(F.col("good") == 1).alias("goods"), F.count_if(F.col("good") == 0).alias("bads"))
+    counts = cut(counts)  # a few rows that are used several times, behind a pass over all texts
     counts = counts.unionByName(counts.groupBy(F.lit(POOLED).alias("stratum"), "step").agg(F.sum("goods").alias("goods"), F.sum("bads").alias("bads")))
     wide = counts.groupBy("stratum").agg(F.sum("goods").alias("n"), F.collect_list(F.struct("step", "goods", "bads")).alias("steps"))
     part = lambda field: F.aggregate(F.filter("steps", lambda s: s["step"] <= F.col("at")), F.lit(0).cast("long"), lambda x, s: x + s[field])
