@@ -6,6 +6,7 @@ broadcast once; its size is checked when it is collected.
 
 from __future__ import annotations
 
+import functools
 import itertools
 import time
 from collections.abc import Iterable, Sequence
@@ -141,6 +142,20 @@ def marginals(regret: DataFrame, factors: Sequence[str] = FACTORS) -> DataFrame:
     return regret.sparkSession.sql(f"SELECT {factor} AS factor, {level} AS level, count(*) AS sessions, {stats} FROM {view} GROUP BY GROUPING SETS ({sets})")
 
 
+#: The levels of the recommended preset, as a grid names them.
+PRESET = {"k": 5, "features": "ILFT", "A": 0.5, "l": 1, "cell": "top1"}
+
+
+def one_at_a_time(regret: DataFrame, preset: dict = PRESET) -> DataFrame:
+    """Mean and deviation for every level of every factor, over the sessions in which all
+    other factors are at the preset; a session of the preset counts for each factor."""
+    at = {f: F.col(f) == F.lit(v) for f, v in preset.items()}
+    others = lambda f: functools.reduce(lambda a, b: a & b, [c for g, c in at.items() if g != f])
+    named = F.array_compact(F.array(*[F.when(others(f), F.struct(F.lit(f).alias("factor"), F.col(f).cast("string").alias("level"))) for f in preset]))
+    stats = [agg(m).alias(m + end) for m in ("avg_regret", "max_regret", "entropy_regret", "entropy_bits") for agg, end in ((F.avg, ""), (F.stddev_samp, "_sd"))]
+    return regret.withColumn("own", F.explode(named)).groupBy("own.factor", "own.level").agg(F.count(F.lit(1)).alias("sessions"), *stats)
+
+
 def factor_grid(datasets: Sequence[str], phis: Iterable[str] = QUALITIES, seeds=range(2), rounds: int = 30) -> pd.DataFrame:
     """The preset and every level of every factor, one changed at a time."""
     base = dict(datasets=datasets, phis=list(phis), seeds=seeds, rounds=rounds)

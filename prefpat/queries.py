@@ -524,7 +524,7 @@ def items_scaling(spark, sf):
 def parameter_grid(spark, sf):
     """Every level of every factor: two encodings, three qualities, two seeds, 30 rounds."""
     p = calibrated(spark, sf, GRID_DATASETS, GRID_PATTERNS)
-    return experiments.marginals(experiments.session_regret(experiments.run_grid(spark, experiments.factor_grid(GRID_DATASETS), p)))
+    return experiments.one_at_a_time(experiments.session_regret(experiments.run_grid(spark, experiments.factor_grid(GRID_DATASETS), p)))
 
 
 def method_comparison(spark, sf):

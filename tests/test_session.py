@@ -158,6 +158,13 @@ def test_whole_grid_has_every_level():
     assert rows.session_id.is_unique and len(rows) == 11 * 3
 
 
+def test_levels_are_compared_at_the_preset(spark):
+    rows = [(f"s{i}", k, "ILFT", 0.5, l, "top1", float(v), 0.0, 0.0, 0.0) for i, (k, l, v) in enumerate([(5, 1, 1), (5, 1, 3), (10, 1, 5), (5, 0, 7)])]
+    df = spark.createDataFrame(rows, "session_id string, k int, features string, A double, l int, cell string, avg_regret double, max_regret double, entropy_regret double, entropy_bits double")
+    got = {(r.factor, r.level): (r.sessions, r.avg_regret) for r in experiments.one_at_a_time(df).collect()}
+    assert got == {("k", "5"): (2, 2), ("k", "10"): (1, 5), ("features", "ILFT"): (2, 2), ("A", "0.5"): (2, 2), ("l", "1"): (2, 2), ("l", "0"): (1, 7), ("cell", "top1"): (2, 2)}
+
+
 def test_axes_are_those_of_a_plain_decomposition(prepared):
     from prefpat.operators import measures
 
