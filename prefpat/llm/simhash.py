@@ -65,9 +65,11 @@ LOOSE = 44
 FACTORS = np.random.Generator(np.random.PCG64(SEED)).integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 #: Hashes sketched at a time, and rows gathered before whole groups are compared.
 SKETCH_CHUNK = 1 << 12
+GROUP_ROWS, GROUP_BYTES = 1 << 14, 1 << 24
 #: Edges that one task solves at once, in about 16 MB.
 SMALL_EDGES = 1 << 20
-GROUP_ROWS = 1 << 14
+#: Texts, and their bytes, that a block of a group holds: one task compares two blocks.
+BLOCK_TEXTS, BLOCK_BYTES = 1 << 13, 1 << 24
 
 
 def remix(hashes: np.ndarray) -> np.ndarray:
@@ -424,15 +426,17 @@ def by_group(batches: Iterator[pa.RecordBatch], names: list[str], groups_to_colu
         arrays = [np.concatenate(x) if found else np.zeros(0, np.int64) for x in (zip(*found) if found else names)]
         return pa.RecordBatch.from_arrays([pa.array(a.astype(np.int64)) for a in arrays], names=names)
 
-    rows = 0
+    rows = size = 0
     for batch in batches:
+        if not batch.num_rows:
+            continue
         held.append([c.to_numpy(zero_copy_only=False) for c in batch.columns])
-        rows += batch.num_rows
-        if rows >= GROUP_ROWS and held[0][0][0] != held[-1][0][-1]:
+        rows, size = rows + batch.num_rows, size + batch.nbytes
+        if (rows >= GROUP_ROWS or size >= GROUP_BYTES) and held[0][0][0] != held[-1][0][-1]:
             columns = [np.concatenate(x) for x in zip(*held)]
             whole = int(np.searchsorted(columns[0], columns[0][-1]))  # the last group may go on
             yield results([c[:whole] for c in columns])
-            held, rows = [[c[whole:] for c in columns]], len(columns[0]) - whole
+            held, rows, size = [[c[whole:] for c in columns]], len(columns[0]) - whole, 0
     if rows:
         yield results([np.concatenate(x) for x in zip(*held)])
 
@@ -452,7 +456,7 @@ def loose_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def exact_components(shingle: int, similarity: float):
-    """Rows (group, id, text), sorted by group, to (id, component)."""
+    """Rows (meeting, id, text), sorted by meeting, to (id, component)."""
 
     def components(group: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
         _, ids, texts = group
@@ -479,23 +483,38 @@ def exact_components(shingle: int, similarity: float):
     return run
 
 
-def exact_links(rows: DataFrame, texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+def meetings(group: Column, id_: Column, blocks: Column) -> Column:
+    """The numbers under which a text meets others of its group: the group's own where it
+    is one block, else one for each pair of blocks that holds the text's block."""
+    own = F.pmod(F.xxhash64(id_), blocks).cast("int")
+    others = F.array_remove(F.sequence(F.lit(0), blocks - 1), own)
+    pairs = F.transform(others, lambda j: F.xxhash64(group, F.least(own, j), F.greatest(own, j)))
+    return F.when(blocks > 1, pairs).otherwise(F.array(group))
+
+
+def exact_links(rows: DataFrame, texts: DataFrame, shingle: int, similarity: float, block_texts: int = BLOCK_TEXTS, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """Links ``(u, v)`` that join all texts whose shingle sets have the similarity.
 
     Texts meet where one band of least hashes agrees and the prints of their sets
     differ in at most ``LOOSE`` bits; what these loose links reach is compared by
-    the shingle sets themselves.
+    the shingle sets themselves. A group of more than ``block_texts`` texts or
+    ``block_bytes`` is dealt into blocks by a hash of the texts, and every two blocks
+    meet in a task of their own: no task holds more, and no pair is lost.
     """
     parts = shuffle_parts(rows.sparkSession)
     spread = texts.select(F.explode("bands").alias("bucket"), "id", "set_print", "set_guard")
     loose = connected(spread.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(loose_links, "u long, v long"), SMALL_EDGES)
     members = loose.select(F.col("root").alias("group"), F.col("node").alias("id")).union(loose.select("root", "root").distinct())
-    wanted = members.join(texts.select("id", "least"), "id")
-    wanted = cut(wanted.select("group", F.col("id").alias("number"), "least", row_hash("least").alias("wanted_hash")))
+    wanted = members.join(texts.select("id", "least", "size"), "id")
+    wanted = cut(wanted.select("group", F.col("id").alias("number"), "least", "size", row_hash("least").alias("wanted_hash")))
+    blocks = F.ceil(F.greatest(F.count(F.lit(1)) / block_texts, F.sum("size") / block_bytes)).cast("int")
+    large = wanted.groupBy("group").agg(blocks.alias("blocks")).where("blocks > 1")
+    wanted = wanted.join(large, "group", "left")
     same = (rows["row_hash"] == wanted["wanted_hash"]) & same_row(rows["id"], wanted["least"])
     # hashed rows are dealt once, for the join and for the repeated rows after it
-    fetched = rows.join(wanted, same).dropDuplicates(["row_hash", "number"]).select("group", F.col("number").alias("id"), "text")
-    exact = fetched.repartition(parts, "group").sortWithinPartitions("group").mapInArrow(exact_components(shingle, similarity), "v long, u long")
+    fetched = rows.join(wanted, same).dropDuplicates(["row_hash", "number"])
+    met = fetched.select(F.explode(meetings(F.col("group"), F.col("number"), F.coalesce("blocks", F.lit(1)))).alias("meeting"), F.col("number").alias("id"), "text")
+    exact = met.repartition(parts, "meeting").sortWithinPartitions("meeting").mapInArrow(exact_components(shingle, similarity), "v long, u long")
     return exact.where("u <> v").select("u", "v")
 
 
@@ -519,9 +538,9 @@ def keep_representatives(df: DataFrame, key: str, text: str, shingle: int = 5, b
     rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), F.struct(own.isNull().alias("no_key"), own.alias("key"), F.xxhash64(F.col(f"`{text}`")).alias("text_hash")).alias("id"))
     rows = rows.withColumn("row_hash", row_hash("id"))
     body = F.col(f"row.`{text}`")
-    found = rows.select(F.col("id").alias("key"), sketch_column(body, shingle).alias("s")).select("key", "s.*")
+    found = rows.select(F.col("id").alias("key"), F.coalesce(F.octet_length(body), F.lit(0)).alias("size"), sketch_column(body, shingle).alias("s")).select("key", "size", "s.*")
     firsts = [F.first(c).alias(c) for c in ("print", "guard", "set_print", "set_guard", "bands")]
-    texts = cut(found.groupBy("id").agg(F.min("key").alias("least"), *firsts))
+    texts = cut(found.groupBy("id").agg(F.min("key").alias("least"), F.max("size").alias("size"), *firsts))
     prints = cut(texts.groupBy("print").agg(F.min("id").alias("of")))
     near = near_links(cut(texts.select("print", "guard").distinct()), budget, both)
     number = lambda name: prints.select(F.col("print").alias(name), F.col("of").alias(f"{name}_of"))

@@ -2,6 +2,7 @@ import itertools
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 
@@ -194,3 +195,39 @@ def test_equal_prints_with_other_guards_keep_their_links():
     prints, guards = np.array([one, one, two], dtype=np.uint64), np.array([0, (1 << 40) - 1, (1 << 40) - 1], dtype=np.uint64)
     u, v = simhash.trie_self_join(np.zeros(3, dtype=np.int64), prints, guards, 10, 20)
     assert {frozenset((int(a), int(b))) for a, b in zip(u, v)} == {frozenset((one, two))}
+
+
+def test_a_group_of_many_blocks_keeps_its_links(spark, monkeypatch):
+    """Chains of near copies, compared whole and by two texts at a time: the same components."""
+    random.seed(9)
+    rows = []
+    for chain in range(3):
+        words = [f"c{chain}w{i}" for i in range(120)]
+        for step in range(12):
+            rows.append((len(rows), " ".join(words)))
+            words = list(words)
+            words[random.randrange(120)] = f"c{chain}s{step}"
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    want = plain_kept(rows, 5, 0.8)
+    met = []
+    plain = simhash.exact_links
+    for limits in ({}, {"block_texts": 2}, {"block_bytes": 1}):
+        monkeypatch.setattr(simhash, "exact_links", lambda *a, limits=limits: met.append(plain(*a, **limits)) or met[-1])
+        assert sorted(r.doc_id for r in simhash.keep_representatives(df, "doc_id", "text").collect()) == want
+    reach = []
+    for links in met:
+        edges = [(r.u % (1 << 64), r.v % (1 << 64)) for r in links.collect()]
+        names = sorted({x for e in edges for x in e})
+        forest = simhash.Forest(len(names))
+        forest.add(np.array([names.index(a) for a, _ in edges]), np.array([names.index(b) for _, b in edges]))
+        reach.append((names, forest.root.tolist()))
+    assert reach[0] == reach[1] == reach[2] and len(reach[0][0]) == len(rows)
+
+
+def test_long_texts_are_compared_before_many_rows_have_come(monkeypatch):
+    """Groups go on once their bytes, and not only their rows, reach the limit."""
+    monkeypatch.setattr(simhash, "GROUP_BYTES", 1000)
+    words = " ".join(f"w{i}" for i in range(400))
+    batches = [pa.RecordBatch.from_pydict({"g": pa.array([g, g], pa.int64()), "id": pa.array([2 * g, 2 * g + 1], pa.int64()), "text": pa.array([words.encode()] * 2)}) for g in range(5)]
+    out = list(simhash.exact_components(5, 0.8)(iter(batches)))
+    assert len(out) == 5 and [b["component"].to_pylist() for b in out] == [[2 * g] * 2 for g in range(5)]
