@@ -51,7 +51,8 @@ PAIR_CHUNK = 1 << 20
 #: Leaf pairs up to which a node pair is compared without going on, where the budget is
 #: too wide for the upper levels of a bucket's trie to prune.
 LEAF_PAIRS = 64
-#: Parts into which the fingerprints of one component are dealt when they get its name.
+#: Parts into which the fingerprints of one component, or the texts of one group, are
+#: dealt when they get its name or its number of blocks.
 SALT = 16
 #: Rows of whole buckets gathered before a join starts.
 BUCKET_ROWS = 1 << 18
@@ -508,8 +509,8 @@ def exact_links(rows: DataFrame, texts: DataFrame, shingle: int, similarity: flo
     wanted = members.join(texts.select("id", "least", "size"), "id")
     wanted = cut(wanted.select("group", F.col("id").alias("number"), "least", "size", row_hash("least").alias("wanted_hash")))
     blocks = F.ceil(F.greatest(F.count(F.lit(1)) / block_texts, F.sum("size") / block_bytes)).cast("int")
-    large = wanted.groupBy("group").agg(blocks.alias("blocks")).where("blocks > 1")
-    wanted = wanted.join(large, "group", "left")
+    large = wanted.groupBy("group").agg(blocks.alias("blocks")).where("blocks > 1").withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
+    wanted = wanted.withColumn("part", F.pmod(F.xxhash64("number"), F.lit(SALT)).cast("int")).join(large, ["group", "part"], "left")
     same = (rows["row_hash"] == wanted["wanted_hash"]) & same_row(rows["id"], wanted["least"])
     # hashed rows are dealt once, for the join and for the repeated rows after it
     fetched = rows.join(wanted, same).dropDuplicates(["row_hash", "number"])
