@@ -456,6 +456,37 @@ def loose_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield from by_group(batches, ["u", "v"], links)
 
 
+def shared_counts(elements: np.ndarray, begins: np.ndarray):
+    """A function ``(one, rest)``: how many elements set ``one`` shares with each of the
+    sets ``rest``. Set i is ``elements[begins[i] : begins[i + 1]]``, without repeats.
+
+    Elements of one set alone are shared with none. The others are bits of a matrix with
+    a row for each set, where it has no more words than there are elements; sets
+    that share little with most others are told by marks instead.
+    """
+    n = len(begins) - 1
+    _, place, times = np.unique(elements, return_inverse=True, return_counts=True)
+    width = -(-int(np.count_nonzero(times > 1)) // 64)
+    if n * width <= len(elements):
+        several = times[place] > 1
+        bit = (np.cumsum(times > 1) - 1)[place[several]]
+        owner = np.repeat(np.arange(n), np.diff(begins))[several]
+        matrix = np.zeros((n, width), dtype=np.uint64)
+        np.bitwise_or.at(matrix, (owner, bit >> 6), np.uint64(1) << (bit & 63).astype(np.uint64))
+        return lambda one, rest: np.bitwise_count(matrix[rest] & matrix[one]).sum(axis=1, dtype=np.int64)
+
+    mark = np.zeros(len(times), dtype=bool)
+
+    def by_marks(one: int, rest: np.ndarray) -> np.ndarray:
+        own = place[begins[one] : begins[one + 1]]
+        mark[own] = True
+        shared = np.array([np.count_nonzero(mark[place[begins[i] : begins[i + 1]]]) for i in rest.tolist()], dtype=np.int64)
+        mark[own] = False
+        return shared
+
+    return by_marks
+
+
 def exact_components(shingle: int, similarity: float):
     """Rows (meeting, id, text), sorted by meeting, to (id, component)."""
 
@@ -464,15 +495,12 @@ def exact_components(shingle: int, similarity: float):
         sets = [shingle_set(t, shingle) for t in texts]
         sizes = np.array([len(s) for s in sets])
         begins = np.r_[0, np.cumsum(sizes)]
-        names, place = np.unique(np.concatenate(sets), return_inverse=True)
-        mark = np.zeros(len(names), dtype=bool)
+        shared_with = shared_counts(np.concatenate(sets), begins)
 
         def near(one: int, rest: np.ndarray) -> np.ndarray:
             fits = (np.minimum(sizes[rest], sizes[one]) >= similarity * np.maximum(sizes[rest], sizes[one]) - 1e-9)
             linked = np.zeros(len(rest), dtype=bool)
-            mark[place[begins[one] : begins[one + 1]]] = True
-            shared = np.array([np.count_nonzero(mark[place[begins[i] : begins[i + 1]]]) for i in rest[fits].tolist()], dtype=np.int64)
-            mark[place[begins[one] : begins[one + 1]]] = False
+            shared = shared_with(one, rest[fits])
             linked[fits] = shared >= similarity * (sizes[rest[fits]] + sizes[one] - shared) - 1e-9
             return linked
 

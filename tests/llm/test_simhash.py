@@ -231,3 +231,18 @@ def test_long_texts_are_compared_before_many_rows_have_come(monkeypatch):
     batches = [pa.RecordBatch.from_pydict({"g": pa.array([g, g], pa.int64()), "id": pa.array([2 * g, 2 * g + 1], pa.int64()), "text": pa.array([words.encode()] * 2)}) for g in range(5)]
     out = list(simhash.exact_components(5, 0.8)(iter(batches)))
     assert len(out) == 5 and [b["component"].to_pylist() for b in out] == [[2 * g] * 2 for g in range(5)]
+
+
+@pytest.mark.parametrize("close", [True, False])
+def test_shared_counts_as_matrix_and_by_marks(close):
+    """Close sets make a matrix of bits, those of a long chain are marked; both count
+    what sets share."""
+    rng = np.random.default_rng(5)
+    sets = [np.unique(rng.integers(0, 60, size)) for size in (0, 1, *rng.integers(1, 40, 70))] if close else [np.arange(i, i + 3) for i in range(300)]
+    begins = np.r_[0, np.cumsum([len(s) for s in sets])]
+    count = simhash.shared_counts(np.concatenate(sets), begins)
+    assert (count.__name__ == "by_marks") == (not close)
+    rest = rng.permutation(len(sets))[:50]
+    for one in range(len(sets)):
+        assert count(one, rest).tolist() == [len(np.intersect1d(sets[one], sets[i])) for i in rest]
+        assert count(one, rest[:0]).tolist() == []
