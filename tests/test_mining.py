@@ -127,3 +127,26 @@ def test_entropy(spark):
     assert measures.joint_entropy(patterns, ds).first().entropy == pytest.approx(2)
     assert measures.joint_entropy(patterns.limit(1), ds).first().entropy == pytest.approx(1)
     assert measures.joint_entropy(patterns, ds, normalise=True).first().entropy == pytest.approx(1)
+
+
+def test_sparse_sets_are_searched_on_their_own_rows(monkeypatch):
+    """Below sets of few rows the bitmaps are cut to these rows, and nothing else changes."""
+    import numpy as np
+
+    from prefpat.operators import vertical
+
+    rng = np.random.default_rng(4)
+    held = rng.random((40_001, 9)) < 0.2
+    number = lambda flags: int.from_bytes(np.packbits(flags, bitorder="little").tobytes(), "little")
+    positive = rng.random(len(held)) < 0.4
+    maps = vertical.Bitmaps([number(c) for c in held.T], number(positive), number(~positive))
+    cuts, whole = [], vertical.narrowed
+    monkeypatch.setattr(vertical, "narrowed", lambda cover, b: cuts.append(len(held) / cover.bit_count()) or whole(cover, b))
+    found = {s: (sup, pos) for i in range(8) for s, sup, pos in vertical.below(maps, (i,), maps.columns[i], 5, None)}
+    assert cuts and min(cuts) > vertical.NARROW_PART
+    for items, got in found.items():
+        own = held[:, list(items)].all(axis=1)
+        assert got == (own.sum(), (own & positive).sum())
+    monkeypatch.setattr(vertical, "NARROW_BITS", 1 << 40)
+    plain = {s: (sup, pos) for i in range(8) for s, sup, pos in vertical.below(maps, (i,), maps.columns[i], 5, None)}
+    assert plain == found and any(len(s) > 4 for s in found)
