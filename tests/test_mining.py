@@ -150,3 +150,20 @@ def test_sparse_sets_are_searched_on_their_own_rows(monkeypatch):
     monkeypatch.setattr(vertical, "NARROW_BITS", 1 << 40)
     plain = {s: (sup, pos) for i in range(8) for s, sup, pos in vertical.below(maps, (i,), maps.columns[i], 5, None)}
     assert plain == found and any(len(s) > 4 for s in found)
+
+
+@pytest.mark.parametrize("name", ["udtf_xor_draws"])
+def test_draws_are_over_the_items_of_the_table(spark, tmp_path, name):
+    from prefpat import oracles
+    from prefpat.queries import QUERIES
+
+    rows = [(i, [0.5 if (i >> d) % 2 else -0.5 for d in range(5)], i) for i in range(8)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = sorted(map(tuple, QUERIES[name](spark, str(tmp_path)).collect()))
+    assert len(got) == 12 and got == [(d, x, c[0], p) for d, one in enumerate(xorcells.draw_py(4, 3, range(3), 7)) for x, (c, p) in enumerate(one)]
+    import duckdb
+
+    con = duckdb.connect()
+    con.sql("CREATE VIEW embeddings AS FROM '/root/testdata/sf0.001/embeddings.parquet'")
+    want = con.sql(oracles.oracles()[name]).fetchall()
+    assert sorted(map(tuple, QUERIES[name](spark, "/root/testdata/sf0.001").collect())) == sorted(want)
