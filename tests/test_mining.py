@@ -152,7 +152,7 @@ def test_sparse_sets_are_searched_on_their_own_rows(monkeypatch):
     assert plain == found and any(len(s) > 4 for s in found)
 
 
-@pytest.mark.parametrize("name", ["udtf_xor_draws"])
+@pytest.mark.parametrize("name", ["xor_draws", "udtf_xor_draws"])
 def test_draws_are_over_the_items_of_the_table(spark, tmp_path, name):
     from prefpat import oracles
     from prefpat.queries import QUERIES
