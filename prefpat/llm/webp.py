@@ -33,6 +33,7 @@ PREDICTOR, CROSS_COLOUR, SUBTRACT_GREEN, PALETTE = range(4)
 MAX_SIDE = 1 << 14
 SIGNATURE = 0x2F
 LENGTH_CODES, DISTANCE_CODES = 24, 40
+FIRST_CACHED = 256 + LENGTH_CODES
 CODE_LENGTH_ORDER = (17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15)
 CACHE_FACTOR = 0x1E35A7BD
 OPAQUE_BLACK = 0xFF000000
@@ -92,12 +93,17 @@ class PrefixCode:
         code.set_single(symbol)
         return code
 
-    def arrays(self, alphabet: int) -> tuple[np.ndarray, np.ndarray]:
-        """Codes (first bit lowest) and sizes by symbol, for encoding."""
-        codes, sizes = np.zeros(alphabet, np.uint64), np.zeros(alphabet, np.int64)
-        symbols = list(self.bits)
-        codes[symbols], sizes[symbols] = zip(*self.bits.values())
-        return codes, sizes
+
+def code_arrays(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Codes (first bit lowest) and sizes by symbol, for encoding."""
+    codes, sizes = np.zeros(len(lengths), np.uint64), np.zeros(len(lengths), np.int64)
+    used = np.flatnonzero(lengths)
+    if len(used) > 1:
+        order = used[np.argsort(lengths[used], kind="stable")]
+        sizes[order] = own = lengths[order]
+        spans = 1 << (own[-1] - own)
+        codes[order] = reversed_bits(int(own[-1]))[np.cumsum(spans) - spans]
+    return codes, sizes
 
 
 REVERSED: dict[int, np.ndarray] = {0: np.zeros(1, np.int64)}
@@ -187,19 +193,31 @@ def read_code(reader: BitReader, alphabet: int) -> PrefixCode:
         of_lengths[CODE_LENGTH_ORDER[i]] = reader.read(3)
     code = PrefixCode(of_lengths)
     left = 2 + reader.read(2 + 2 * reader.read(3)) if reader.read(1) else alphabet
-    at, last = 0, 8
+    at, last, found = 0, 8, []
+    symbols, sizes, mask, place = code.symbols.tolist(), code.sizes.tolist(), (1 << code.width) - 1, reader.at
+    ahead, held, data = 0, 0, reader.data
     while at < alphabet and left > 0:
         left -= 1
-        token = reader.symbol(code)
+        if held < 14:  # the most that a token takes
+            ahead, held = int.from_bytes(data[place >> 3 : (place >> 3) + 64], "little") >> (place & 7), 512 - (place & 7)
+        entry = ahead & mask
+        token, size = symbols[entry], sizes[entry]
         if token < 16:
-            lengths[at] = token
+            found.append(token)
             last, at = token or last, at + 1
         else:
-            value, times = (last, 3 + reader.read(2)) if token == 16 else (0, 3 + reader.read(3)) if token == 17 else (0, 11 + reader.read(7))
-            if at + times > alphabet:
-                raise ValueError("too many code lengths")
-            lengths[at : at + times] = value
+            value, least, more = (last, 3, 2) if token == 16 else (0, 3, 3) if token == 17 else (0, 11, 7)
+            times = least + (ahead >> size & ((1 << more) - 1))
+            size += more
             at += times
+            if at > alphabet:
+                raise ValueError("too many code lengths")
+            found += [value] * times
+        place, ahead, held = place + size, ahead >> size, held - size
+    reader.at = place
+    if place > reader.end:
+        raise ValueError("the image ends too early")
+    lengths[: len(found)] = found
     return PrefixCode(lengths)
 
 
@@ -227,6 +245,14 @@ def read_pixels(reader: BitReader, width: int, height: int, main: bool) -> np.nd
 
 
 def plain_pixels(reader, width, total, groups, group_of, group_bits, cache_bits) -> np.ndarray:
+    """Images with a cache or groups of codes; with a cache alone where a code ends
+    depends on its offset as well, so only the pixels are taken one after the other."""
+    if group_of is None and cache_bits:
+        return fast_pixels(reader, width, total, groups[0], cache_bits)
+    return loop_pixels(reader, width, total, groups, group_of, group_bits, cache_bits)
+
+
+def loop_pixels(reader, width, total, groups, group_of, group_bits, cache_bits) -> np.ndarray:
     out, cache, shift = [0] * total, [0] * (1 << cache_bits), 32 - cache_bits
     rows = None if group_of is None else group_of.reshape(-1, blocks(width, group_bits)).tolist()
     at = 0
@@ -263,7 +289,7 @@ LEAST_VALUE = np.array([p + 1 if p < 4 else ((2 + (p & 1)) << ((p - 2) >> 1)) +
 SPAN_BITS, REACH_BITS = 1 << 21, 128
 
 
-def fast_pixels(reader: BitReader, width: int, total: int, group: list[PrefixCode]) -> np.ndarray:
+def fast_pixels(reader: BitReader, width: int, total: int, group: list[PrefixCode], cache_bits: int = 0) -> np.ndarray:
     """All bit offsets at once; see the module's text."""
     out = np.empty(total, np.uint32)
     green, red, blue, alpha, far = group
@@ -271,27 +297,33 @@ def fast_pixels(reader: BitReader, width: int, total: int, group: list[PrefixCod
         out[:] = int(alpha.symbols[0]) << 24 | int(red.symbols[0]) << 16 | int(green.symbols[0]) << 8 | int(blue.symbols[0])
         return out
     data = np.frombuffer(reader.data, np.uint8)
-    has_copies = bool((green.symbols >= 256).any())
+    is_far = (green.symbols >= 256) & (green.symbols < FIRST_CACHED)
+    has_copies, cache = bool(is_far.any()), [0] * (1 << cache_bits)
+    most = max(green.width + red.width + blue.width + alpha.width, (green.width + far.width + 2 * int(EXTRA_BITS[-1])) * has_copies)
     done = 0
     while done < total:
         if reader.at >= reader.end:
             raise ValueError("the image ends too early")
         first = reader.at >> 3
-        part = data[first : first + (SPAN_BITS + REACH_BITS) // 8 + 4].astype(np.uint32)
+        span = min(SPAN_BITS, 8 + (total - done) * most)  # what is left takes no more
+        part = data[first : first + (span + REACH_BITS) // 8 + 4].astype(np.uint32)
         part = part[:-2] | part[1:-1] << np.uint32(8) | part[2:] << np.uint32(16)
         windows = np.empty((len(part), 8), np.uint16)  # the next sixteen bits at every offset
         for s in range(8):
             windows[:, s] = part >> np.uint32(s)
         windows = windows.reshape(-1)
-        n = min(len(windows) - REACH_BITS, SPAN_BITS)
-        entries = windows[:n] & np.uint16((1 << green.width) - 1)
+        n = min(len(windows) - REACH_BITS, span)
+        entries = (windows[:n] & np.uint16((1 << green.width) - 1)).astype(np.intp)
         step = green.sizes[entries].astype(np.int32)
-        copies = np.flatnonzero((green.symbols >= 256)[entries]) if has_copies else np.zeros(0, np.int64)
+        copies = np.flatnonzero(is_far[entries]) if has_copies else np.zeros(0, np.int64)
         literal_at = []
         for code in (red, blue, alpha):
             literal_at.append(step.copy() if code.width else None)
             if code.width:
                 step = step + code.sizes[windows[np.arange(n) + step] & np.uint16((1 << code.width) - 1)]
+        if cache_bits:  # a place in the cache is all there is to read
+            held = green.symbols[entries] >= FIRST_CACHED
+            step[held] = green.sizes[entries[held]]
         lengths = distances = None
         if len(copies):
             prefix = green.symbols[entries[copies]] - 256
@@ -303,19 +335,21 @@ def fast_pixels(reader: BitReader, width: int, total: int, group: list[PrefixCod
             place = place + far.sizes[entry]
             distances = LEAST_VALUE[prefix] + extra_values(part, place, EXTRA_BITS[prefix])
             step[copies] = place + EXTRA_BITS[prefix] - copies
-        # the chain, four codes at a step
+        # the chain, eight codes at a step
         after = np.arange(n + 1, dtype=np.int32)
         after[:n] += step
         np.minimum(after, n, out=after)
         two = after[after]
-        four = memoryview(two[two])
+        four = two[two]
+        eight = memoryview(four[four])
         at, chain = reader.at & 7, []
         limit = n
         while at < limit:
             chain.append(at)
-            at = four[at]
-        quarter = np.array(chain, np.int64)
-        places = np.stack([quarter, after[quarter], two[quarter], after[two[quarter]]], axis=1).reshape(-1)
+            at = eight[at]
+        places = np.array(chain, np.int64)
+        for further in (four, two, after):
+            places = np.stack([places, further[places]], axis=1).reshape(-1)
         places = places[places < n]
         size = np.ones(len(places), np.int64)
         if len(copies):
@@ -329,7 +363,11 @@ def fast_pixels(reader: BitReader, width: int, total: int, group: list[PrefixCod
         if ends[-1] > total:
             raise ValueError("a copy leaves the image")
         values = pixels_at(windows, places, group, literal_at)
-        if len(copies) and is_copy[:count].any():
+        if cache_bits:
+            symbols = green.symbols[entries[places]]
+            moved = {i: (int(size[i]), copy_distance(int(distances[where[i]]), width)) for i in np.flatnonzero(is_copy[:count]).tolist()} if len(copies) else {}
+            with_cache(out, done, symbols, values, moved, cache, cache_bits)
+        elif len(copies) and is_copy[:count].any():
             last = 0
             for i in np.flatnonzero(is_copy[:count]).tolist():
                 start = int(ends[i] - size[i])
@@ -349,6 +387,31 @@ def fast_pixels(reader: BitReader, width: int, total: int, group: list[PrefixCod
     return out
 
 
+def with_cache(out: np.ndarray, done: int, symbols: np.ndarray, values: np.ndarray, far: dict, cache: list[int], cache_bits: int) -> None:
+    """Pixels of codes that may name places of the colour cache, from ``done`` on. ``far`` has
+    the length and distance of every code that is a copy."""
+    shift, new, start = 32 - cache_bits, [], done
+    slots = ((values.astype(np.uint64) * np.uint64(CACHE_FACTOR) & np.uint64(0xFFFFFFFF)) >> np.uint64(shift)).tolist()
+    for n, (symbol, pixel, slot) in enumerate(zip(symbols.tolist(), values.tolist(), slots)):
+        if symbol < 256:
+            cache[slot] = pixel
+            new.append(pixel)
+        elif symbol >= FIRST_CACHED:
+            pixel = cache[symbol - FIRST_CACHED]
+            cache[(CACHE_FACTOR * pixel & 0xFFFFFFFF) >> shift] = pixel
+            new.append(pixel)
+        else:
+            length, distance = far[n]
+            at = start + len(new)
+            if distance > at:
+                raise ValueError("a copy leaves the image")
+            for i in range(at - distance, at - distance + length):
+                pixel = new[i - start] if i >= start else int(out[i])
+                cache[(CACHE_FACTOR * pixel & 0xFFFFFFFF) >> shift] = pixel
+                new.append(pixel)
+    out[start : start + len(new)] = new
+
+
 def extra_values(part: np.ndarray, places: np.ndarray, bits: np.ndarray) -> np.ndarray:
     """Values of ``bits`` bits (up to 24) at bit places."""
     whole = part[places >> 3].astype(np.int64) | part[np.minimum((places >> 3) + 3, len(part) - 1)].astype(np.int64) << 24
@@ -403,63 +466,92 @@ def predicted(mode: int, left, top, top_right, top_left):
     return np.clip(mean + (np.abs(change) >> 1) * np.sign(change), 0, 255)
 
 
+def mean_of(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Halved sums of all four channels of ARGB numbers at once."""
+    return (a & b) + (((a ^ b) & np.uint32(0xFEFEFEFE)) >> np.uint32(1))
+
+
+def predicted_numbers(mode: int, left, top, top_right, top_left) -> np.ndarray | None:
+    """What modes without a comparison or a clip predict, as ARGB numbers."""
+    if mode == 0 or mode > 13:
+        return np.full_like(left, OPAQUE_BLACK)
+    if mode <= 4:
+        return (left, top, top_right, top_left)[mode - 1]
+    if mode == 5:
+        return mean_of(mean_of(left, top_right), top)
+    if mode <= 9:
+        return mean_of(*((left, top_left), (left, top), (top_left, top), (top, top_right))[mode - 6])
+    return mean_of(mean_of(left, top_left), mean_of(top, top_right)) if mode == 10 else None
+
+
 def undo_predictor(pixels: np.ndarray, bits: int, modes: np.ndarray) -> np.ndarray:
+    """Channels are bytes, whose sums wrap by themselves."""
     height, width = pixels.shape
-    rest, out = planes(pixels), np.zeros((height, width, 4), np.int32)
-    out[0] = np.cumsum(rest[0] + np.eye(width, 1, dtype=np.int32) * np.array([255, 0, 0, 0], np.int32), axis=0) & 255
+    rest = np.ascontiguousarray(pixels, "<u4").view(np.uint8).reshape(height, width, 4)
+    out, above = np.empty((height, width), "<u4"), np.zeros(width + 1, "<u4")
+    channels = out.view(np.uint8).reshape(height, width, 4)
+    np.cumsum(rest[0], axis=0, dtype=np.uint8, out=channels[0])
+    channels[0, :, 3] += np.uint8(255)
+    rows = modes.tolist()
     for y in range(1, height):
-        above = np.concatenate([out[y - 1], np.zeros((1, 4), np.int32)])
-        out[y, 0] = above[width] = (rest[y, 0] + above[0]) & 255
+        above[:width] = out[y - 1]
+        channels[y, 0] = rest[y, 0] + channels[y - 1, 0]
+        above[width] = out[y, 0]
         x = 1
         while x < width:
             end = min(width, ((x >> bits) + 1) << bits)
-            mode = int(modes[y >> bits, x >> bits])
+            mode = rows[y >> bits][x >> bits]
             if mode == 1:
-                out[y, x:end] = (np.cumsum(rest[y, x:end], axis=0) + out[y, x - 1]) & 255
+                np.cumsum(rest[y, x:end], axis=0, dtype=np.uint8, out=channels[y, x:end])
+                channels[y, x:end] += channels[y, x - 1]
             elif mode in (0, 2, 3, 4, 8, 9) or mode > 13:  # nothing from the row itself
-                guess = predicted(mode, above[x:end], above[x:end], above[x + 1 : end + 1], above[x - 1 : end - 1])
-                out[y, x:end] = (rest[y, x:end] + guess) & 255
+                guess = predicted_numbers(mode, above[x:end], above[x:end], above[x + 1 : end + 1], above[x - 1 : end - 1])
+                np.add(rest[y, x:end], np.ascontiguousarray(guess).view(np.uint8).reshape(-1, 4), out=channels[y, x:end])
             else:
+                near = planes(above)
+                left = planes(out[y, x - 1 : x])[0]
+                own = planes(pixels[y, x:end])
                 for i in range(x, end):
-                    out[y, i] = (rest[y, i] + predicted(mode, out[y, i - 1], above[i], above[i + 1], above[i - 1])) & 255
+                    left = (own[i - x] + predicted(mode, left, near[i], near[i + 1], near[i - 1])) & 255
+                    own[i - x] = left
+                out[y, x:end] = joined(own)
             x = end
-    return joined(out)
+    return out
 
 
 def do_predictor(pixels: np.ndarray, bits: int, modes: np.ndarray) -> np.ndarray:
     height, width = pixels.shape
-    c = planes(pixels)
-    flat = np.concatenate([c.reshape(-1, 4), np.zeros((1, 4), np.int32)])
-    at = np.arange(height * width).reshape(height, width)
-    guess = np.zeros_like(c)
-    left, top, right, corner = (flat[np.maximum(at - d, 0)] for d in (1, width, width - 1, width + 1))
-    mode_at = np.repeat(np.repeat(modes, 1 << bits, 0), 1 << bits, 1)[:height, :width]
-    for mode in np.unique(mode_at).tolist():
-        own = mode_at == mode
-        guess[own] = predicted(mode, left[own], top[own], right[own], corner[own])
-    guess[0, 1:], guess[1:, 0], guess[0, 0] = left[0, 1:], top[1:, 0], (255, 0, 0, 0)
-    return joined(c - guess)
+    padded = np.concatenate([np.zeros(width + 1, "<u4"), pixels.reshape(-1)])
+    at = lambda d: padded[width + 1 - d : len(padded) - d].reshape(height, width)
+    left, top, right, corner = near = at(1), at(width), at(width - 1), at(width + 1)
+    guess = np.zeros((height, width), "<u4")
+    for j, column in enumerate(modes.T.tolist()):
+        for i, mode in enumerate(column):
+            own = slice(i << bits, (i + 1) << bits), slice(j << bits, (j + 1) << bits)
+            block = predicted_numbers(mode, *(n[own] for n in near))
+            guess[own] = joined(predicted(mode, *(planes(n[own]) for n in near))) if block is None else block
+    guess[0, 1:], guess[1:, 0], guess[0, 0] = left[0, 1:], top[1:, 0], OPAQUE_BLACK
+    return (np.ascontiguousarray(pixels, "<u4").view(np.uint8) - guess.view(np.uint8)).view("<u4")
 
 
 def cross_colour(pixels: np.ndarray, bits: int, elements: np.ndarray, sign: int) -> np.ndarray:
     """Adds (sign 1, undoing) or takes away (-1) what green and red say about red and blue."""
     height, width = pixels.shape
-    c = planes(pixels)
-    e = planes(np.repeat(np.repeat(elements, 1 << bits, 0), 1 << bits, 1)[:height, :width])
-    signed = lambda x: (x & 255 ^ 128) - 128
-    share = lambda t, x: signed(t) * signed(x) >> 5
-    old_red = c[..., 1].copy()
-    c[..., 1] = c[..., 1] + sign * share(e[..., 3], c[..., 2]) & 255
-    true_red = c[..., 1] if sign > 0 else old_red
-    c[..., 3] = c[..., 3] + sign * (share(e[..., 2], c[..., 2]) + share(e[..., 1], true_red)) & 255
-    return joined(c)
+    signed = lambda x, shift: (x >> np.uint32(shift)).astype(np.uint8).view(np.int8).astype(np.int16)
+    spread = lambda e: np.repeat(np.repeat(e, 1 << bits, 0), 1 << bits, 1)[:height, :width] if e.size > 1 else e
+    red_by_green, blue_by_green, blue_by_red = (spread(signed(elements, s)) for s in (0, 8, 16))
+    green, red = signed(pixels, 8), signed(pixels, 16)
+    new_red = (red + sign * (red_by_green * green >> 5)).astype(np.int8)
+    true_red = new_red if sign > 0 else red
+    blue = signed(pixels, 0) + sign * ((blue_by_green * green >> 5) + (blue_by_red * true_red.astype(np.int16) >> 5))
+    return pixels & np.uint32(0xFF00FF00) | new_red.view(np.uint8).astype(np.uint32) << np.uint32(16) | blue.astype(np.uint8)
 
 
 def shift_green(pixels: np.ndarray, sign: int) -> np.ndarray:
-    c = planes(pixels)
-    c[..., 1] += sign * c[..., 2]
-    c[..., 3] += sign * c[..., 2]
-    return joined(c)
+    both = np.uint32(0x00FF00FF)
+    green = (pixels >> np.uint32(8) & np.uint32(255)) * np.uint32(0x10001)
+    moved = (pixels & both) + green if sign > 0 else (pixels & both | np.uint32(0x01000100)) - green
+    return pixels & ~both | moved & both
 
 
 def undo_palette(pixels: np.ndarray, width: int, palette: np.ndarray) -> np.ndarray:
@@ -573,7 +665,7 @@ def write_code(writer: BitWriter, lengths: np.ndarray) -> None:
         tokens += [(value, 0, 0)] * times
     counts = np.bincount([t[0] for t in tokens], minlength=19)
     sizes = code_lengths(counts, 7)
-    code = PrefixCode(sizes)
+    codes, of = (x.tolist() for x in code_arrays(sizes))
     count = max(4, 1 + max(i for i, s in enumerate(CODE_LENGTH_ORDER) if sizes[s]))
     writer.write(0, 1)
     writer.write(count - 4, 4)
@@ -581,8 +673,7 @@ def write_code(writer: BitWriter, lengths: np.ndarray) -> None:
         writer.write(int(sizes[s]), 3)
     writer.write(0, 1)  # the whole alphabet follows
     for symbol, value, bits in tokens:
-        own, size = code.bits[symbol]
-        writer.write(own | value << size, size + bits)
+        writer.write(codes[symbol] | value << of[symbol], of[symbol] + bits)
 
 
 def write_simple_code(writer: BitWriter, symbols: list[int]) -> None:
@@ -664,7 +755,7 @@ def write_pixels(writer: BitWriter, pixels: np.ndarray, main: bool, runs: bool =
         symbols = green[mine]
         lengths = code_lengths(np.bincount(symbols, minlength=alphabet))
         write_code(writer, lengths)
-        code, size = PrefixCode(lengths).arrays(alphabet)
+        code, size = code_arrays(lengths)
         # a copy's extra bits follow its code; its distance is always one pixel, which takes none
         values[mine, 0] = code[symbols] | extra[mine].astype(np.uint64) << size[symbols].astype(np.uint64)
         bits[mine, 0] = size[symbols] + extra_bits[mine]
@@ -677,7 +768,7 @@ def write_pixels(writer: BitWriter, pixels: np.ndarray, main: bool, runs: bool =
             symbols = (own[apart] >> np.uint32(shift) & np.uint32(255)).astype(np.int64)
             lengths = code_lengths(np.bincount(symbols, minlength=256))
             write_code(writer, lengths)
-            code, size = PrefixCode(lengths).arrays(256)
+            code, size = code_arrays(lengths)
             values[apart, c], bits[apart, c] = code[symbols], size[symbols]
         write_simple_code(writer, [far_prefix])
     writer.write_all(values.reshape(-1), bits.reshape(-1))
@@ -734,8 +825,8 @@ def bundled(index: np.ndarray, bits: int) -> np.ndarray:
 ROW_BYTES = 576
 #: Size of the blocks of a plan's transforms, as a power of two.
 PLAN_BITS = 9
-#: Plans by a checksum; the first eight are those that need an inverse.
-PLANS = 64
+#: Plans by a checksum; each needs an inverse or the cache.
+PLANS = 8
 FILL = b"\xff"
 
 
@@ -746,8 +837,8 @@ def padded_payload(raw: bytes) -> bytes:
 
 def plan_of(pixels: np.ndarray) -> dict:
     """Transforms and cache of an image, by its content: a checksum of the samples picks
-    one of ``PLANS``, so that over a table every inverse is used; most images go without,
-    as an inverse costs two to four times a plain image. Images of at most
+    one of ``PLANS``, so that every image is read with an inverse or the cache, and over a
+    table all of them are used. Images of at most
     sixteen values take the palette, by which pixels share a byte."""
     samples = (pixels >> np.uint32(8) & np.uint32(255)).astype(np.uint8)
     if np.count_nonzero(np.bincount(samples.reshape(-1), minlength=256)) <= 16:
@@ -763,7 +854,7 @@ def plan_of(pixels: np.ndarray) -> dict:
         return {"transforms": ((SUBTRACT_GREEN,),)}
     if choice == 6:
         return {"transforms": ((PALETTE,),)}
-    return {"cache_bits": 4} if choice == 7 else {}
+    return {"cache_bits": 4}
 
 
 def store(payload: bytes) -> bytes:
