@@ -43,8 +43,8 @@ FEW_LINES = 4
 def spans_of(text: Column) -> Column:
     """Array of ``(start, end, hash)``: the chunks of a text, by line numbers."""
     digit = lambda x: F.conv(F.substring(F.md5(x), 1, 6), 16, 10).cast("long")
-    fact = lambda x, i: F.struct(i.alias("i"), digit(x).alias("d"), F.regexp_count(x, F.lit(WORD_CHAR_RE + "+")).alias("w"), F.xxhash64(x).alias("h"))
-    facts = F.transform(F.filter(F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda s: s["x"].rlike(WORD_CHAR_RE)), lambda s: fact(s["x"], s["i"]))
+    counted = F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("i"), x.alias("x"), F.regexp_count(x, F.lit(WORD_CHAR_RE + "+")).alias("w")))
+    facts = F.transform(F.filter(counted, lambda s: s["w"] > 0), lambda s: F.struct(s["i"].alias("i"), digit(s["x"]).alias("d"), s["w"].alias("w"), F.xxhash64(s["x"]).alias("h")))
 
     def bounded(f: Column) -> Column:
         """Adds whether a boundary stands behind the line, by it and the one before, and
@@ -74,8 +74,11 @@ def spans_of(text: Column) -> Column:
         back = lambda j, most: size(F.reverse(F.slice(f, F.greatest(j + 2 - most, F.lit(1)), F.least(j + 1, F.lit(most)))), "before")
         long = lambda x: F.when(x["w"] >= LONG_LINE, 1)
         forward = F.transform(f, lambda x, j: let(F.coalesce(long(x), ahead(j, FEW_LINES), ahead(j, LONG_LINE)), lambda n: span(f, j, n)))
-        backward = F.transform(f, lambda x, j: let(F.coalesce(long(x), back(j, FEW_LINES), back(j, LONG_LINE)), lambda n: span(f, j - n + 1, n)))
-        return F.filter(F.array_distinct(F.concat(forward, backward)), lambda s: s.isNotNull())
+        # forward chunks differ in their starts and backward ones in their ends, so a backward one
+        # can repeat only the forward one from its own start
+        new = lambda known, x, first: ~F.get(known, first)["end"].eqNullSafe(x["i"] + 1)
+        backward = lambda known: F.transform(f, lambda x, j: let(F.coalesce(long(x), back(j, FEW_LINES), back(j, LONG_LINE)), lambda n: F.when(new(known, x, j - n + 1), span(f, j - n + 1, n))))
+        return F.filter(let(forward, lambda known: F.concat(known, backward(known))), lambda s: s.isNotNull())
 
     return let(facts, lambda f: let(bounded(f), chunks))
 
@@ -90,7 +93,7 @@ def repeated_spans(df: DataFrame, key: str, text: str) -> DataFrame:
     spans = df.where(F.col(f"`{text}`").isNotNull()).select(
         F.col(f"`{key}`").alias("key"), text_key(F.col(f"`{text}`")).alias("text_hash"), F.explode(spans_of(F.col(f"`{text}`"))).alias("s")
     )
-    spans = spans.select("key", "text_hash", "s.start", "s.end", "s.hash")
+    spans = cut(spans.select("key", "text_hash", "s.start", "s.end", "s.hash"))  # counted and joined: made once
     place = F.struct("key", "text_hash", "start")
     again = spans.groupBy("hash").agg(F.count(F.lit(1)).alias("n"), F.min(place).alias("stays")).where("n > 1").select("hash", "stays")
     return spans.join(cut(again), "hash").select("key", "text_hash", "start", "end", "hash", place.eqNullSafe(F.col("stays")).alias("first"))

@@ -79,3 +79,14 @@ def test_sql_form_agrees(spark):
     documents = pd.DataFrame(rows, columns=["doc_id", "text"])  # noqa: F841
     want = sorted((int(k), t) for k, t, *_ in duckdb.sql(f"SELECT doc_id, text FROM ({linededup.OP10_SQL})").fetchall())
     assert run(spark, rows) == sorted(want, key=str)
+
+
+def test_spans_are_made_once_and_none_twice(spark):
+    """Counting and joining read the same written spans; a chunk read forward and backward is one."""
+    lines = [" ".join(f"w{(i * 7 + j) % 23}" for j in range(i % 9 + 3)) for i in range(120)]
+    texts = ["\n".join(lines[a : a + n]) for a in range(0, 100, 5) for n in (1, 2, 3, 12)] + ["", "\n \n", " ".join(lines), None]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4).cache()
+    plan = linededup.repeated_spans(df, "doc_id", "text")._jdf.queryExecution().executedPlan().toString()
+    assert "Generate" not in plan
+    for r in df.where("text is not null").select(linededup.spans_of(df.text).alias("s")).collect():
+        assert len(set(r.s)) == len(r.s)
