@@ -167,3 +167,80 @@ def test_draws_are_over_the_items_of_the_table(spark, tmp_path, name):
     con.sql("CREATE VIEW embeddings AS FROM '/root/testdata/sf0.001/embeddings.parquet'")
     want = con.sql(oracles.oracles()[name]).fetchall()
     assert sorted(map(tuple, QUERIES[name](spark, "/root/testdata/sf0.001").collect())) == sorted(want)
+
+
+def plain_path(supports, n, target, tol):
+    """The supports that a calibration asks for, with a search of its own for each, and its result."""
+    import math
+
+    cap, low, high, at, best, asked = int(target * (1 + tol)), 1, n, max(1, int(n * 0.6)), (n, 0), []
+    while low <= high:
+        at = min(max(at, low), high)
+        asked.append(at)
+        total = sum(s >= at for s in supports)
+        if total > cap:
+            low = at + 1
+            at = int((low * (high + 1)) ** 0.5)
+            continue
+        best = min([best, *((s, sum(x >= s for x in supports)) for s in set(supports) if s >= at)], key=lambda k: (abs(k[1] - target), k[0]))
+        if best[1] >= int(target * (1 - tol)):
+            break
+        high, earlier = at - 1, sum(s >= 1.15 * at for s in supports)
+        growth = math.log(total / earlier) / math.log(1.15) if earlier and total > earlier else 1.0
+        at = max(at // 2, int(at * (total / target) ** (1 / growth))) if total else at // 2
+    return best, asked
+
+
+def test_calibration_searches_less_often_than_it_asks(toy, monkeypatch):
+    from prefpat.operators import vertical
+
+    supports = [r["sup"] for r in mine.frequent(toy, 1).select("sup").collect()]
+    whole, searched, asked = vertical.count_by_support, [], []
+    monkeypatch.setattr(vertical, "count_by_support", lambda *a: searched.append(a[2]) or whole(*a))
+    for target, tol in ((100, 0.5), (300, 0.01), (1500, 0.02), (10**6, 0.1)):
+        best, path = plain_path(supports, toy.n, target, tol)
+        assert mine.calibrate_min_sup(toy, target, tol) == best, target
+        asked += path
+    assert len(searched) < len(asked)
+
+
+def test_counts_from_a_rising_floor_are_whole(toy, brute):
+    from collections import Counter
+
+    from prefpat.operators import vertical
+
+    supports = [r["sup"] for r in mine.frequent(toy, 1).select("sup").collect()]
+    for most in (5, 40, 10**6):
+        floor, counts = vertical.count_by_support(toy, vertical.sent_bitmaps(toy), 1, most)
+        assert counts == Counter(s for s in supports if s >= floor) and (floor == 1 or most < len(supports)), most
+    maps = vertical.collect_bitmaps(toy)
+    tally = vertical.Tally(1, 5)
+    tally.search(maps.columns, vertical.own_pairs(0, 1, ITEMS))
+    assert tally.floor > 1 and tally.seen <= 10 and sum(s >= tally.floor - 1 for s in supports) > 5
+    assert sorted(p for t in range(5) for p in vertical.own_pairs(t, 5, 9)) == [(i, j) for i in range(9) for j in range(i, 9)]
+
+
+def test_labels_are_made_before_rows_are_multiplied(spark):
+    """Above the explosion a label's expression would be computed again for every item."""
+    from pyspark.sql import functions as F
+
+    from prefpat.operators.encode import binarise
+
+    texts = spark.range(3).select("id", F.concat(F.lit("a b "), F.col("id").cast("string")).alias("text")).repartition(2)
+    long = binarise(texts, F.col("id"), F.split("text", " "), F.instr("text", "b") > F.col("id"))
+    plan = long._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    assert next(i for i, x in enumerate(plan) if "instr" in x) > next(i for i, x in enumerate(plan) if "Generate" in x)
+
+
+def test_items_of_repeated_rows_are_numbered_by_transactions(spark, monkeypatch):
+    """Item a has the most rows, b and c the most transactions; d has rows enough but not transactions."""
+    from prefpat.operators import encode as enc
+
+    rows = [(0, "a", 1)] * 9 + [(t, i, t % 2) for t in range(4) for i in "bc" if (t, i) != (3, "c")] + [(2, "a", 0)] + [(1, "d", 1)] * 5 + [(9, None, None)]
+    long = spark.createDataFrame(rows, "tid long, item string, label int")
+    for most in (enc.MAX_ITEMS, 3):
+        monkeypatch.setattr(enc, "MAX_ITEMS", most)
+        ds = encode(long, min_sup=2)
+        assert [tuple(r) for r in ds.items.orderBy("item_id").collect()] == [(0, "b", 4), (1, "c", 3), (2, "a", 2)]
+        assert {r.tid: (r["items"], r.m0, r.label) for r in ds.transactions.collect()} == {0: ([0, 1, 2], 7, 1), 1: ([0, 1], 3, 1), 2: ([0, 1, 2], 7, 0), 3: ([0], 1, 1), 9: ([], 0, None)}
+        assert (ds.n, ds.n_pos, ds.n_labelled, ds.n_items, ds.n_items_all) == (5, 3, 4, 3, 4)
