@@ -244,3 +244,26 @@ def test_items_of_repeated_rows_are_numbered_by_transactions(spark, monkeypatch)
         assert [tuple(r) for r in ds.items.orderBy("item_id").collect()] == [(0, "b", 4), (1, "c", 3), (2, "a", 2)]
         assert {r.tid: (r["items"], r.m0, r.label) for r in ds.transactions.collect()} == {0: ([0, 1, 2], 7, 1), 1: ([0, 1], 3, 1), 2: ([0, 1, 2], 7, 0), 3: ([0], 1, 1), 9: ([], 0, None)}
         assert (ds.n, ds.n_pos, ds.n_labelled, ds.n_items, ds.n_items_all) == (5, 3, 4, 3, 4)
+
+
+@pytest.mark.parametrize("name", ["doc_words", "conv_words", "page_words"])
+def test_transactions_of_words_are_counted_without_texts(spark, name):
+    from prefpat.queries import least_support
+    from prefpat.sources.encodings import ENCODINGS, word_transactions
+
+    sf = "/root/testdata/sf0.001"
+    ids = word_transactions(spark, sf, name)
+    assert {r.tid for r in ids.collect()} == {r.tid for r in ENCODINGS[name](spark, sf).select("tid").collect()}
+    assert "regexp_extract_all" not in ids._jdf.queryExecution().optimizedPlan().toString() and least_support(spark, sf, name, 1.0) == ids.count()
+
+
+def test_documents_are_joined_by_their_words(spark, tmp_path):
+    """Whole texts are not sent to the join with the labels; a text without words stays a transaction."""
+    from prefpat.sources.encodings import doc_words
+
+    spark.createDataFrame([(1, "One two, one TWO three! ab"), (2, "?"), (3, None), (4, "unlabelled words")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(1, 1), (2, 0), (3, None)], "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    long = doc_words(spark, str(tmp_path))
+    assert sorted(map(str, map(tuple, long.collect()))) == sorted(map(str, [(1, "one", 1), (1, "two", 1), (1, "three", 1), (2, None, 0), (3, None, None)]))
+    plan = long._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Join") < plan.index("regexp_extract_all")
